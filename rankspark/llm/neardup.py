@@ -12,7 +12,9 @@ a pair at similarity 0.8 shares no band once in 20 million. Then links are confi
 1. in a few bands, each member of a bucket against the bucket's pivot (each bucket has its own order of ids, so a
    document meets many pivots);
 2. in all bands the same with other pivots, for members that are not yet in the pivot's component, a few times;
-3. every pair of a bucket that is still in two components, so that no link between components is missed.
+3. every pair of a bucket that is still in two components, so that no link between components is missed. Before sets
+   are read, a pair must pass by its sizes and by the differing bits of two parity sketches, which never outnumber the
+   differing elements: a test that loses no pair.
 
 Copies collapse beforehand and near copies after the first rounds, so large groups never expand into all pairs.
 Components come from star contraction with a union-find in each task; labels never reach the driver. Tables that are
@@ -34,8 +36,8 @@ from pyspark.sql import functions as F
 
 from . import common
 
-PLACES, BANDS = 128, 32
-FIRST_BANDS, PIVOT_ROUNDS = 6, 4
+PLACES, BANDS, BITS = 128, 32, 4096
+FIRST_BANDS, PIVOT_ROUNDS = 6, 2
 #: Ids that are broadcast at most; more are joined by shuffle.
 BROADCAST_ROWS = 500_000
 U = np.uint64
@@ -102,8 +104,9 @@ def shingle_sets(texts: list[str | None], k: int) -> list[np.ndarray]:
     return out
 
 
-def signatures(sets: list[np.ndarray], places: int = PLACES, chunk: int = 1 << 16) -> np.ndarray:
+def signatures(sets: list[np.ndarray], places: int = PLACES) -> np.ndarray:
     """(documents, places): the whole part of a value is the step (upper 32 bits), the rest its fraction."""
+    chunk = (1 << 23) // places  # elements whose permutations are held at once
     out = np.full((len(sets), places), np.iinfo(np.uint64).max, dtype=U)
     group, size = [], 0
     for i, s in enumerate(sets):
@@ -124,7 +127,7 @@ def _offer(out: np.ndarray, group: list[tuple[int, np.ndarray]]) -> None:
     places = out.shape[1]
     element = np.concatenate([s for _, s in group])
     owner = np.repeat([i for i, _ in group], [len(s) for _, s in group])
-    order = np.tile(np.arange(places, dtype=np.uint8), (len(element), 1))
+    order = np.tile(np.arange(places, dtype=np.uint16), (len(element), 1))
     flat = out.reshape(-1)
     docs = np.unique(owner)
     row = np.arange(len(element))
@@ -166,13 +169,57 @@ def sketched(docs: DataFrame, k: int) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>")
 
 
+def parities(sets: list[np.ndarray]) -> np.ndarray:
+    """(documents, BITS / 64): a bit for each cell of a hash of the elements, set where their number is odd.
+
+    Each element of only one of two sets turns one cell, so differing bits never outnumber differing elements."""
+    cells = np.stack([np.bincount((mix(s + GOLD) >> U(40)).astype(np.int64) % BITS, minlength=BITS) & 1 for s in sets])
+    return np.packbits(cells.astype(np.uint8), axis=1).view(np.int64)
+
+
 def full_sets(docs: DataFrame, k: int) -> DataFrame:
+    """id, set, bands, bits, brief: for candidates only. brief is bits folded to a quarter."""
+
     def run(batches: Iterator[pa.RecordBatch]):
         for b in common.slices(batches):
             sets = shingle_sets(b.column(1).to_pylist(), k)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], ["id", "set"])
+            bits = parities(sets)
+            lists = lambda m: pa.array(list(m), pa.list_(pa.int64()))
+            brief = np.bitwise_xor.reduce(bits.reshape(len(bits), 4, -1), axis=1)
+            yield pa.RecordBatch.from_arrays([b.column(0), lists(s.view(np.int64) for s in sets), lists(band_keys(signatures(sets))), lists(bits), lists(brief)], ["id", "set", "bands", "bits", "brief"])
+
+    return docs.select(F.col("doc_id").cast("long").alias("id"), "text").mapInArrow(run, "id long, set array<long>, bands array<long>, bits array<long>, brief array<long>")
+
+
+def _possible(percent: int):
+    """Whether two documents (na, fa, ta: size, brief and bits; nb, fb, tb) may have the similarity: it needs sizes near each
+    other and at most (100 - percent) / (100 + percent) of both sizes in differing elements, hence in differing bits. No pair is lost."""
+    differ = lambda x, y: F.bit_count(x.bitwiseXOR(y))
+    few = differ(F.get("fa", F.lit(0)), F.get("fb", F.lit(0)))
+    for i in range(1, BITS // 256):
+        few = few + differ(F.get("fa", F.lit(i)), F.get("fb", F.lit(i)))
+    every = F.aggregate(F.zip_with("ta", "tb", differ), F.lit(0), lambda x, y: x + y)
+    most = (100 - percent) * (F.col("na") + F.col("nb"))
+    return (100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")) & ((100 + percent) * few <= most) & ((100 + percent) * every <= most)
+
+
+def _own(sets: DataFrame, side: str, *more) -> DataFrame:
+    return sets.select(*more, F.size("set").alias(f"n{side}"), F.col("brief").alias(f"f{side}"), F.col("bits").alias(f"t{side}"))
+
+
+def _near(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs that sizes and bits allow, before any set is read."""
+    return pairs.join(_own(sets, "a", F.col("id").alias("u")), "u").join(_own(sets, "b", F.col("id").alias("v")), "v").where(_possible(percent)).select("u", "v")
+
 
-    return docs.select(F.col("doc_id").cast("long").alias("id"), "text").mapInArrow(run, "id long, set array<long>")
+def _crossing(rest: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """(u, v): pairs of a bucket from two components that sizes and bits allow, each in the first band that they share only.
+    All tests are part of the join, so other pairs are never rows."""
+    a = rest.join(_own(sets, "a", F.col("id").alias("rep"), F.col("bands").alias("ba")), "rep").select("band", "key", F.col("rep").alias("ra"), F.col("c").alias("ca"), "na", "ba", "fa", "ta")
+    b = a.toDF("band_b", "key_b", "rb", "cb", "nb", "bb", "fb", "tb")
+    first = F.array_position(F.zip_with("ba", "bb", lambda x, y: x == y), True) == F.col("band") + 1
+    met = a.join(b, (F.col("band") == F.col("band_b")) & (F.col("key") == F.col("key_b")) & (F.col("ca") < F.col("cb")) & _possible(percent) & first)
+    return met.select(*_ordered("ra", "rb"))
 
 
 # ---- components ------------------------------------------------------------------------------------------------
@@ -250,25 +297,19 @@ def group(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     real = sketch.where("n_shingles > 0 and doc_id is not null")
     classes = real.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"))
     heads = real.join(classes.select(F.col("rep").alias("doc_id"), "d1", "d2"), ["doc_id", "d1", "d2"], "left_semi")
-    spread = heads.select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), F.posexplode("bands").alias("band", "key"))
+    spread = heads.select(F.col("doc_id").alias("rep"), F.posexplode("bands").alias("band", "key"))
     shared = spread.groupBy("band", "key").agg(F.min("rep").alias("a"), F.max("rep").alias("z")).where("a < z").select("band", "key")
     buckets = common.stored(spread.join(shared, ["band", "key"]), "buckets")
-    members = buckets.select("rep", "n").distinct()
-    ids = members.select("rep").distinct()
+    ids = buckets.select("rep").distinct()
     ids = F.broadcast(ids) if ids.count() <= BROADCAST_ROWS else ids
     sets = common.stored(full_sets(docs.join(ids, docs["doc_id"] == ids["rep"], "left_semi"), k).dropDuplicates(["id"]), "sets")
-    size = members.groupBy("rep").agg(F.max("n").alias("n"))
-    near = lambda df: (  # noqa: E731  sizes too far apart for the similarity go before the sets are read
-        df.join(size.select(F.col("rep").alias("u"), F.col("n").alias("nu")), "u").join(size.select(F.col("rep").alias("v"), F.col("n").alias("nv")), "v")
-        .where(100 * F.least("nu", "nv") >= percent * F.greatest("nu", "nv")).select("u", "v")
-    )
     tried = links = labels = None
 
-    def confirm(pairs: DataFrame) -> bool:
+    def confirm(pairs: DataFrame, sifted: bool = False) -> bool:
         """Verify pairs that no round has tried, and bring the components up to date; whether links were found."""
         nonlocal tried, links, labels
         new = common.stored(pairs if tried is None else pairs.join(tried, ["u", "v"], "left_anti"), "pairs")
-        fresh = common.stored(_verified(near(new), sets, percent), "links")
+        fresh = common.stored(_verified(new if sifted else _near(new, sets, percent), sets, percent), "links")
         tried = new if tried is None else tried.unionByName(new)
         if found := not fresh.isEmpty():
             links = fresh if links is None else links.unionByName(fresh)
@@ -286,8 +327,7 @@ def group(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
         if not confirm(named(tied, "pivot", "cp").where("c != cp").select(*_ordered("rep", "pivot")).distinct()) and turn:
             break
     rest = common.stored(open_buckets(named(buckets.select("band", "key", "rep"), "rep", "c")), "rest")
-    other = rest.select("band", "key", F.col("rep").alias("other"), F.col("c").alias("oc"))
-    confirm(rest.join(other, ["band", "key"]).where("c < oc").select(*_ordered("rep", "other")).distinct())
+    confirm(_crossing(rest, sets, percent), sifted=True)
     if labels is None:
         labels = components(tried.limit(0))
 
