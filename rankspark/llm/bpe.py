@@ -29,8 +29,8 @@ from . import common
 
 #: Stands for the end-of-word suffix inside this module; no byte character has this code.
 END = "\ue000"
-#: Words in a worker's memory of finished words; it starts anew when full. Affects speed only.
-REMEMBERED = 400_000
+#: Finished words, and tested pairs, that a worker remembers; each memory starts anew when full. Affects speed only.
+REMEMBERED, PAIRS = 80_000, 250_000
 BLANK = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
 
 
@@ -61,7 +61,7 @@ class Codec:
                 self.parts.setdefault(made, (r, left, right))
         self.lefts: dict[int, list] = {}
         self.rights: dict[int, list] = {}
-        self.fits: dict[tuple[int, int], bool] = {}
+        self.fits: dict[int, bool] = {}
         self.automaton = ahocorasick.Automaton()
         self.length: dict[int, int] = {}
         single = lambda t: len(t.rstrip(END)) == 1
@@ -85,6 +85,7 @@ class Codec:
         self.pool = np.frombuffer(b"".join(coded), dtype=np.uint8)
         self.offset = np.concatenate([[0], np.cumsum([len(c) for c in coded])])
         self.known: dict[str, bytes] = {}
+        del self.names, self.ids
 
     # ---- which tokens may stand side by side
 
@@ -115,9 +116,12 @@ class Codec:
         return own is None or own >= 0
 
     def compatible(self, a: int, b: int) -> bool:
-        known = self.fits.get((a, b))
+        pair = a << 20 | b
+        known = self.fits.get(pair)
         if known is None:
-            known = self.fits[a, b] = (a, b) not in self.rank and self.sound(a, b)
+            if len(self.fits) >= PAIRS:
+                self.fits.clear()
+            known = self.fits[pair] = (a, b) not in self.rank and self.sound(a, b)
         return known
 
     def _longest_beginning(self, t: str) -> int | None:
