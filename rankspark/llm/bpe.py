@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import hashlib
 import json
+import struct
 import unicodedata
 from collections.abc import Iterator
 
@@ -30,7 +31,7 @@ from . import common
 #: Stands for the end-of-word suffix inside this module; no byte character has this code.
 END = "\ue000"
 #: Finished words, and tested pairs, that a worker remembers; each memory starts anew when full. Affects speed only.
-REMEMBERED, PAIRS = 80_000, 250_000
+REMEMBERED, PAIRS = 150_000, 250_000
 BLANK = "\\t-\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
 
 
@@ -68,12 +69,11 @@ class Codec:
         usable = {i: t for t, i in self.ids.items() if single(t) or i in self.parts}
         for i, t in usable.items():
             if single(t) or self.sound(*self.parts[i][1:]):
-                self.automaton.add_word(t, i)
+                self.automaton.add_word(t, (len(t) - 1, i))
                 self.length[i] = len(t)
         self.automaton.make_automaton()
         self.shorter = {i: self._longest_beginning(t) for i, t in usable.items() if i in self.length}
         self.bytes = byte_characters()
-        self.ascii = {b: self.bytes[b] for b in range(128)}
         pattern = next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self.split = regex.compile(pattern.replace(r"[^\s", f"[^{BLANK}")).findall
         self.cut = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")").split if self.special else None
@@ -84,7 +84,7 @@ class Codec:
         coded = [(t + " ").encode() for t in strings]
         self.pool = np.frombuffer(b"".join(coded), dtype=np.uint8)
         self.offset = np.concatenate([[0], np.cumsum([len(c) for c in coded])])
-        self.known: dict[str, bytes] = {}
+        self.known = _Known(self)
         del self.names, self.ids
 
     # ---- which tokens may stand side by side
@@ -134,45 +134,42 @@ class Codec:
 
     def word(self, w: str) -> list[int]:
         """Token ids of one word of byte characters that ends with END."""
-        n = len(w)
-        longest: list[int | None] = [None] * n
-        for last, i in self.automaton.iter(w):
-            at = last - self.length[i] + 1
-            best = longest[at]
-            if best is None or self.length[best] < self.length[i]:
-                longest[at] = i
+        # by last character, so the longest match of a place is the one that stays
+        longest = {last - before: i for last, (before, i) in self.automaton.iter(w)}
+        n, size, fits = len(w), self.length, self.fits
         out: list[int] = []
-        dead = bytearray(n + 1)
-        at, token = 0, longest[0]
+        dead: set[int] = set()
+        at, token, last = 0, longest.get(0), -1
         while at < n:
             while token is not None:
-                after = at + self.length[token]
-                if not dead[after] and (not out or self.compatible(out[-1], token)):
-                    break
+                after = at + size[token]
+                if after not in dead:
+                    if last < 0:
+                        break
+                    good = fits.get(last << 20 | token)
+                    if good is None:
+                        good = self.compatible(last, token)
+                    if good:
+                        break
                 token = self.shorter[token]
             if token is None:
                 if not out:
                     raise ValueError("a word has characters outside the vocabulary")
-                dead[at] = 1
-                last = out.pop()
-                at -= self.length[last]
-                token = self.shorter[last]
+                dead.add(at)
+                gone = out.pop()
+                at -= size[gone]
+                token = self.shorter[gone]
+                last = out[-1] if out else -1
                 continue
             out.append(token)
-            at = after
-            token = longest[at] if at < n else None
+            last, at = token, after
+            token = longest.get(at)
         return out
 
-    def _piece(self, w: str) -> bytes:
-        got = self.known.get(w)
-        if got is None:
-            coded = w.translate(self.ascii) if w.isascii() else "".join(map(self.bytes.__getitem__, w.encode("utf-8", "replace")))
-            got = np.array(self.word(coded + END), dtype="<u4").tobytes()
-            if len(w) <= 64:
-                if len(self.known) >= REMEMBERED:
-                    self.known.clear()
-                self.known[w] = got
-        return got
+    def piece(self, w: str) -> bytes:
+        plain = w.isascii() and w.isprintable()  # then its bytes stand for themselves
+        ids = self.word((w if plain else "".join(map(self.bytes.__getitem__, w.encode("utf-8", "replace")))) + END)
+        return struct.pack(f"<{len(ids)}I", *ids)
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
@@ -183,7 +180,7 @@ class Codec:
                 continue
             if not part.isascii():
                 part = unicodedata.normalize("NFC", part).replace("Σ", "σ")
-            out += map(self._piece, self.split(part.lower()))
+            out += map(self.known.__getitem__, self.split(part.lower()))
         return b"".join(out)
 
     # ---- decoding
@@ -197,7 +194,23 @@ class Codec:
         return self.pool[np.arange(ends[-1]) + np.repeat(start - (ends - size), size)].tobytes()[:-1]
 
 
-_CODECS: dict[int, Codec] = {}
+class _Known(dict):
+    """Finished words of a codec; others are encoded when asked for."""
+
+    def __init__(self, codec: Codec):
+        super().__init__()
+        self.codec = codec
+
+    def __missing__(self, w: str) -> bytes:
+        got = self.codec.piece(w)
+        if len(w) <= 64:
+            if len(self) >= REMEMBERED:
+                self.clear()
+            self[w] = got
+        return got
+
+
+_CODECS: dict[str, Codec] = {}
 
 
 def codec_of(shared) -> Codec:
