@@ -19,6 +19,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
+from .common import stored
 from .native import gram, run_of, word_hashes, words
 
 WINDOW, K = 10, 6
@@ -69,6 +70,7 @@ def spans(found: DataFrame) -> DataFrame:
 def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     """doc_id, th, n_words, n_hit, n_items, items_sha256, contaminated, for every row of docs."""
     found, items = hits(docs, benchmark, window)
+    found = stored(found, "hits")  # read twice below
     covered = spans(found).groupBy("doc_id", "th").agg(F.sum(F.col("stop") - F.col("start")).alias("n_hit"))
     named = found.select("doc_id", "th", "key").distinct().join(items.select("key", "item_id").distinct(), "key")
     named = named.groupBy("doc_id", "th").agg(F.array_sort(F.collect_set(F.col("item_id").cast("string"))).alias("items"))
