@@ -17,10 +17,13 @@ class DyadicDigest(Synopsis):
     method = "digest.batch"
     parts = ("level", "index", "count")
     scalars = ("bits", "sweeps", "smallest", "largest")
+    #: Counts that wait to be added up, and nodes held before an early compression, both at least; from there sizes must double.
+    MOST_PENDING, MOST_NODES = 1 << 20, 1 << 21
 
     def __init__(self, eps, bits: int = 20, sweeps: str = "one"):
         super().__init__(eps)
         self.bits, self.sweeps, self.smallest, self.largest = bits, sweeps, None, None
+        self._waiting, self._room = 0, self.MOST_NODES
         self.level, self.index, self.count = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64)
         self._pending: list[tuple[np.ndarray, np.ndarray]] = []
 
@@ -47,13 +50,24 @@ class DyadicDigest(Synopsis):
             self._range(values)
             self._pending.append((values.astype(np.int64), weights.astype(np.int64)))
             self.n += int(weights.sum())
+            self._waiting += len(values)
+            if self._waiting > max(self.MOST_PENDING, len(self.index)):
+                self._bound()
+
+    def _bound(self) -> None:
+        """Memory follows the distinct values, and past MOST_NODES the digest: a node folded early has at most the threshold
+        of that time, which only grows, so the error stays below eps."""
+        self._gather()
+        if len(self.index) > self._room:
+            self.compress()
+            self._room = max(self.MOST_NODES, 2 * len(self.index))
 
     def _gather(self) -> None:
         if self._pending:
             v = np.concatenate([self.index, *[p[0] for p in self._pending]])
             lv = np.concatenate([self.level, np.zeros(len(v) - len(self.level), np.int64)])
             self._set(lv, v, np.concatenate([self.count, *[p[1] for p in self._pending]]))
-            self._pending = []
+            self._pending, self._waiting = [], 0
 
     def _set(self, level, index, count) -> None:
         """Equal nodes add up; empty ones go. Kept in order of (level, index)."""

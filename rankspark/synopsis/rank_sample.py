@@ -45,16 +45,33 @@ class RankSampleSet(Synopsis):
         self.p, self.total, self.nodes, self.rank_mode, self.mode, self.seed = p, total, nodes, rank_mode, mode, seed
         self.samples: list[Sample] = []
         self._values: list[np.ndarray] = []
+        self._seen, self._draw = 0, None
+
+    @property
+    def _early(self) -> float | None:
+        """The rate, where it is known before the data and nothing but the sample is needed."""
+        if self.rank_mode == "exact" or not (self.p or (self.mode == "flat" and self.total)):
+            return None
+        return self.p or theory.sample_rate(self.total, self.nodes, self.eps)
 
     def absorb(self, batch: np.ndarray) -> None:
-        self._values.append(np.asarray(batch))
-        self.n += len(batch)
+        values = np.asarray(batch)
+        self.n += len(values)
+        self._seen += len(values)
+        if (p := self._early) is not None and len(values):
+            self._draw = self._draw or np.random.default_rng([self.seed, len(values), int(abs(float(values[0])) * 100) % (1 << 31), int(abs(float(values.sum()))) % (1 << 31)])
+            values = values[self._draw.random(len(values)) < p]
+        self._values.append(values)
 
     def local_finalize(self) -> None:
         """Sample, sort, and rank once. Exact ranks need the node's values in order, estimated ones only the sample."""
         if not self._values:
             return
         data, self._values = np.sort(np.concatenate(self._values)), []
+        size, self._seen, self._draw = self._seen, 0, None
+        if (p := self._early) is not None:
+            self.samples.append(Sample(data, np.arange(len(data)) / p, p, size))
+            return
         total = self.total or self.n
         p = self.p or (theory.sample_rate_of_node if self.mode != "flat" else lambda s, n, k, e: theory.sample_rate(n, k, e))(len(data), total, self.nodes, self.eps)
         rng = np.random.default_rng([self.seed, len(data), int(abs(float(data[0])) * 100) % (1 << 31), int(abs(float(data.sum()))) % (1 << 31)])

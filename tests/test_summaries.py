@@ -130,3 +130,43 @@ def test_a_broken_summary_is_noticed():
     m.g[0] += 5000
     m.n += 5000
     assert max(local.rank_errors(data, GRID, m.query(GRID))) > 0.01
+
+
+def test_batch_digest_bounds_its_memory(monkeypatch):
+    """Many batches add up as one does; past the bound of nodes the early folds keep the error below eps."""
+    data = np.random.default_rng(3).integers(0, 1 << 16, 120_000)
+    whole = synopsis.DyadicDigest("0.01", bits=16)
+    whole.absorb(data)
+    monkeypatch.setattr(synopsis.DyadicDigest, "MOST_PENDING", 5_000)
+    parts = synopsis.DyadicDigest("0.01", bits=16)
+    for at in range(0, len(data), 1_000):
+        parts.absorb(data[at : at + 1_000])
+        assert parts._waiting <= max(5_000, len(parts.index)) and sum(len(v) for v, _ in parts._pending) == parts._waiting
+    for d in (whole, parts):
+        d.local_finalize()
+    assert parts.nodes() == whole.nodes()
+    monkeypatch.setattr(synopsis.DyadicDigest, "MOST_NODES", 8_000)
+    small = synopsis.DyadicDigest("0.01", bits=16)
+    for at in range(0, len(data), 1_000):
+        small.absorb(data[at : at + 1_000])
+        assert len(small.index) <= 16_000
+    small.local_finalize()
+    ordered = np.sort(data)
+    for (a, b), v in zip(GRID, small.query(GRID), strict=True):
+        low, high = np.searchsorted(ordered, v, "left"), np.searchsorted(ordered, v, "right")
+        assert low - 0.01 * len(data) <= a * len(data) // b <= high + 0.01 * len(data)
+
+
+def test_rank_sample_with_estimated_ranks_holds_only_its_sample():
+    data = np.random.default_rng(4).integers(0, 1 << 20, 400_000)
+    s = synopsis.RankSampleSet("0.01", total=len(data), nodes=4, rank_mode="estimated")
+    for at in range(0, len(data), 10_000):
+        s.absorb(data[at : at + 10_000])
+    held = sum(len(v) for v in s._values)
+    assert held < 1_000 and s.n == len(data)
+    s.local_finalize()
+    (own,) = s.samples
+    assert own.size == len(data) and len(own.values) == held and (np.diff(own.values) >= 0).all()
+    ordered = np.sort(data)
+    off = [abs(np.searchsorted(ordered, v) - a * len(data) // b) for (a, b), v in zip(GRID, s.query(GRID), strict=True)]
+    assert np.mean(off) < 0.12 * len(data)  # a sample of about 200: sqrt(200) ranks of 2,000 values each
