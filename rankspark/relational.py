@@ -330,3 +330,10 @@ def _delay(spark, d):
 def _coords(spark, d):
     rows = t(spark, d, "embeddings").select(F.posexplode(F.slice("embedding", 1, 4)).alias("i", "x"))
     return exact.exact_quantiles(rows.select(F.col("i").cast("long").alias("i"), F.floor(F.col("x") * F.lit(1000000).cast("float")).cast("long").alias("v")), "v", PHIS, ["i"])
+
+
+@entry("embedding_coord_quantiles_all", exact.quantile_sql("(SELECT i, CAST(floor(x * 1000000) AS BIGINT) AS v FROM (SELECT unnest(range(0, len(embedding))) AS i, unnest(embedding) AS x FROM embeddings))", "v", PHIS, ["i"]))
+def _coords_all(spark, d):
+    """embedding_coord_quantiles over every component of the vectors."""
+    rows = t(spark, d, "embeddings").select(F.posexplode("embedding").alias("i", "x"))
+    return exact.exact_quantiles(rows.select(F.col("i").cast("long").alias("i"), F.floor(F.col("x") * F.lit(1000000).cast("float")).cast("long").alias("v")), "v", PHIS, ["i"])
