@@ -211,6 +211,13 @@ def _cumulative(spark, d):
     return t(spark, d, "lineitem").where("l_linenumber < 3").select("l_orderkey", "l_linenumber", F.sum(F.col("l_quantity").cast("long")).over(w.orderBy("l_orderkey").rangeBetween(W.Window.unboundedPreceding, 0)).alias("upto"), (F.count(F.lit(1)).over(w.orderBy("l_quantity").rangeBetween(W.Window.unboundedPreceding, 0)) - 1).alias("rank"))
 
 
+@entry("cumulative_rank_all", "SELECT l_orderkey, l_linenumber, CAST(sum(CAST(l_quantity AS BIGINT)) OVER (PARTITION BY l_suppkey ORDER BY l_orderkey RANGE UNBOUNDED PRECEDING) AS BIGINT) AS upto, count(*) OVER (PARTITION BY l_suppkey ORDER BY l_quantity RANGE UNBOUNDED PRECEDING) - 1 AS rank FROM lineitem")
+def _cumulative_all(spark, d):
+    """The frames of cumulative_rank over all rows of a supplier."""
+    w = W.Window.partitionBy("l_suppkey")
+    return t(spark, d, "lineitem").select("l_orderkey", "l_linenumber", F.sum(F.col("l_quantity").cast("long")).over(w.orderBy("l_orderkey").rangeBetween(W.Window.unboundedPreceding, 0)).alias("upto"), (F.count(F.lit(1)).over(w.orderBy("l_quantity").rangeBetween(W.Window.unboundedPreceding, 0)) - 1).alias("rank"))
+
+
 @entry("moving_median", f"SELECT event_id, median({SPEND}) OVER (PARTITION BY event_type ORDER BY event_id ROWS 4 PRECEDING) AS middle FROM events")
 def _moving(spark, d):
     w = W.Window.partitionBy("event_type").orderBy("event_id").rowsBetween(-4, 0)
@@ -242,6 +249,13 @@ def _union(spark, d):
     return li.where("l_linenumber = 1").select(F.col("l_suppkey").alias("k")).unionByName(s.select(F.col("s_suppkey").alias("k"))).groupBy("k").agg(F.count(F.lit(1)).alias("rows"))
 
 
+@entry("union_keys_all", "SELECT k, count(*) AS rows FROM (SELECT l_suppkey AS k FROM lineitem UNION ALL SELECT s_suppkey FROM supplier) GROUP BY k")
+def _union_all(spark, d):
+    """The union of union_keys over all rows of lineitem."""
+    li, s = t(spark, d, "lineitem", "supplier")
+    return li.select(F.col("l_suppkey").alias("k")).unionByName(s.select(F.col("s_suppkey").alias("k"))).groupBy("k").agg(F.count(F.lit(1)).alias("rows"))
+
+
 @entry("intersect_keys", "SELECT o_custkey AS k FROM orders WHERE o_orderstatus = 'F' INTERSECT SELECT c_custkey FROM customer WHERE c_nationkey < 10")
 def _intersect(spark, d):
     o, c = t(spark, d, "orders", "customer")

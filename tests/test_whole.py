@@ -22,3 +22,13 @@ def test_every_coordinate_has_quantiles(spark):
     mine, theirs, db = both(spark, "embedding_coord_quantiles_all")
     size = db.execute("select max(len(embedding)) from embeddings").fetchone()[0]
     assert mine == theirs and {r[0] for r in mine} == set(range(size)) and size > 4
+
+
+def test_frames_run_over_all_of_lineitem(spark):
+    mine, theirs, db = both(spark, "cumulative_rank_all")
+    assert mine == theirs and len(mine) == db.execute("select count(*) from lineitem").fetchone()[0] and max(r[1] for r in mine) >= 3
+
+
+def test_union_takes_all_of_lineitem(spark):
+    mine, theirs, db = both(spark, "union_keys_all")
+    assert mine == theirs and sum(r[1] for r in mine) == db.execute("select (select count(*) from lineitem) + (select count(*) from supplier)").fetchone()[0]
