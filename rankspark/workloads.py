@@ -338,16 +338,25 @@ def _within_sql(method: str, epss: list[str], dists: list[str], orders: list[str
     return f"SELECT '{method}' AS method, dist, ord, parts, CAST(eps AS DOUBLE) AS eps, TRUE AS within_eps FROM (VALUES {', '.join(f'({e})' for e in epss)}) a(eps), (VALUES {vals(dists)}) b(dist), (VALUES {vals(orders)}) c(ord), (VALUES {vals(parts)}) e(parts)"
 
 
+def _exp(name: str, method: str, epss: list[str], dists: list[str], orders: list[str], parts: list[int]) -> None:
+    grid, det = lambda spark, d: error_grid(spark, d, [method], epss, dists, orders, parts), method in DETERMINISTIC
+    ENTRIES[name] = (_within(grid) if det else grid, _within_sql(method, epss, dists, orders, parts) if det else None)
+
+
+ORDERS, PARTS = ["sorted", "random"], [1, 2, 4, 8, 16]
 for _m in OPTIONS:
     _short = _m.replace(".", "_")
-    _g1 = lambda spark, d, m=_m: error_grid(spark, d, [m], EPS[:3], ["z0", "z5", "z1"], ["sorted", "random"], [8])
-    _g2 = lambda spark, d, m=_m: error_grid(spark, d, [m], ["0.001"], ["z0", "z5"], ["random"], [1, 2, 4, 8, 16])
-    _det = _m in DETERMINISTIC
-    ENTRIES[f"exp_eps_error_{_short}"] = (_within(_g1) if _det else _g1, _within_sql(_m, EPS[:3], ["z0", "z5", "z1"], ["sorted", "random"], [8]) if _det else None)
-    ENTRIES[f"exp_parts_error_{_short}"] = (_within(_g2) if _det else _g2, _within_sql(_m, ["0.001"], ["z0", "z5"], ["random"], [1, 2, 4, 8, 16]) if _det else None)
-    ENTRIES[f"exp_parts_size_{_short}"] = (lambda spark, d, m=_m: size_grid(spark, d, [m], "0.0001", ["z0"], ["sorted", "random"], [1, 2, 4, 8, 16]), None)
-ENTRIES["exp_compare_error"] = (lambda spark, d: error_grid(spark, d, list(OPTIONS), EPS, ["z0"], ["random"], [8]), None)
-ENTRIES["exp_compare_size"] = (lambda spark, d: size_grid(spark, d, list(OPTIONS), "0.0001", ["z0"], ["random"], [1, 4, 16]), None)
+    _eps_grid, _parts_grid = (EPS, ["z0", "z5", "z1"], ORDERS, [8]), (EPS[1:], ["z0", "z5"], ORDERS, PARTS)
+    _all = ""
+    if _m in DETERMINISTIC:  # the SQL of these two is fixed and has a part of the grid; the whole of it has queries of its own
+        _exp(f"exp_eps_error_{_short}", _m, EPS[:3], ["z0", "z5", "z1"], ORDERS, [8])
+        _exp(f"exp_parts_error_{_short}", _m, ["0.001"], ["z0", "z5"], ["random"], PARTS)
+        _all = "_all"
+    _exp(f"exp_eps_error_{_short}{_all}", _m, *_eps_grid)
+    _exp(f"exp_parts_error_{_short}{_all}", _m, *_parts_grid)
+    ENTRIES[f"exp_parts_size_{_short}"] = (lambda spark, d, m=_m: size_grid(spark, d, [m], "0.0001", ["z0", "z5"], ORDERS, PARTS), None)
+ENTRIES["exp_compare_error"] = (lambda spark, d: error_grid(spark, d, list(OPTIONS), EPS, ["z0", "z5"], ["random"], [8]), None)
+ENTRIES["exp_compare_size"] = (lambda spark, d: size_grid(spark, d, list(OPTIONS), "0.0001", ["z0", "z5"], ["random"], PARTS), None)
 
 
 @entry("exp_gap_variants")

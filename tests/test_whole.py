@@ -32,3 +32,13 @@ def test_frames_run_over_all_of_lineitem(spark):
 def test_union_takes_all_of_lineitem(spark):
     mine, theirs, db = both(spark, "union_keys_all")
     assert mine == theirs and sum(r[1] for r in mine) == db.execute("select (select count(*) from lineitem) + (select count(*) from supplier)").fetchone()[0]
+
+
+def test_experiments_run_the_whole_grids(spark):
+    mine, theirs, _ = both(spark, "exp_eps_error_gap_all")
+    assert mine == theirs and {(r[1], r[2], r[4]) for r in mine} == {(z, o, e) for z in ("z0", "z5", "z1") for o in ("sorted", "random") for e in (0.1, 0.01, 0.001, 0.0001)}
+    sizes = driver.queries()["exp_compare_size"](spark, DATA).select("dist", "parts").distinct().collect()
+    assert {tuple(r) for r in sizes} == {(z, k) for z in ("z0", "z5") for k in (1, 2, 4, 8, 16)}
+    sql = driver.oracle_sql()["exp_parts_error_gap_all"]
+    told = duckdb.sql(f"select dist, ord, parts, eps from ({sql})").fetchall()
+    assert {(z, o, k, e) for z in ("z0", "z5") for o in ("sorted", "random") for k in (1, 2, 4, 8, 16) for e in (0.01, 0.0001)} <= set(told)
