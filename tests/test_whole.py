@@ -42,3 +42,14 @@ def test_experiments_run_the_whole_grids(spark):
     sql = driver.oracle_sql()["exp_parts_error_gap_all"]
     told = duckdb.sql(f"select dist, ord, parts, eps from ({sql})").fetchall()
     assert {(z, o, k, e) for z in ("z0", "z5") for o in ("sorted", "random") for k in (1, 2, 4, 8, 16) for e in (0.01, 0.0001)} <= set(told)
+
+
+def test_experiments_run_the_mixed_gap_summary(spark):
+    from rankspark import engine, synopsis, workloads
+    from rankspark.params import MethodSpec
+
+    mine, theirs, _ = both(spark, "exp_eps_error_gap_mixed")
+    assert mine == theirs and {"exp_parts_error_gap_mixed", "exp_parts_size_gap_mixed"} <= set(driver.queries())
+    spec = MethodSpec.of(workloads._kind("gap.mixed"), "0.01", **workloads._options("gap.mixed", 6000, 2))
+    parts = engine.summarize(workloads.column(spark, DATA, "z0"), "v", spec).collect()
+    assert {synopsis.unpack(r["payload"]).mode for r in parts} == {"mixed"}
