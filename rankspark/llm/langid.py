@@ -5,7 +5,9 @@ blank is hashed to one of 2**15 rows of an embedding table. The mean of the rows
 For scoring, table and softmax are multiplied once, so a document costs one gather per subword. The temperature
 and the rejection threshold are set on documents that the training did not see.
 
-The training sample is bounded (`per_language`); counts per language and scores cover all rows.
+Every value of lang is learned. The training sample is bounded: `per_language` documents of each, and fewer past 256
+languages, so that no more than 256 times as many are drawn in all. Counts per language and scores cover all rows. The
+model has a column for each language in every worker, so `train` raises a ValueError beyond `most_languages`.
 
 Defined cases: null texts and texts without a letter get `und`, score 0 and accepted false; an empty table gives no
 rows; without any training language every row gets `und`; repeated rows each get their row; other columns are
@@ -25,6 +27,8 @@ from pyspark.sql import functions as F
 from . import common
 
 BITS, WIDTH, PIECE = 15, 16, 1 << 20
+#: Languages of `per_language` training documents each that the sample may hold; scores that calibration works on at once.
+FULL, SCORES = 256, 1 << 22
 
 
 @lru_cache(1)
@@ -95,24 +99,28 @@ def fit(bags: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, languages: lis
             weight -= step * np.outer(h, d)
             bias -= step * 0.1 * d
             table[ids] -= (step * 8 * share)[:, None] * back[None, :]
-    z = np.array([share @ table[ids] @ weight + bias for ids, share in bags]).reshape(n, k)
-    seen = apart if apart.any() else np.ones(n, dtype=bool)
-    scale = np.geomspace(0.3, 20, 60)
-    loss = [-np.log(np.maximum(softmax(z[seen] / t)[np.arange(seen.sum()), y[seen]], 1e-12)).mean() for t in scale] if n else [0.0]
+    seen = np.flatnonzero(apart) if apart.any() else np.arange(n)
+    scale, loss, at = np.geomspace(0.3, 20, 60), np.zeros(60), y[seen]
+    z = np.array([bags[i][1] @ table[bags[i][0]] @ weight + bias for i in seen]).reshape(len(seen), k)
+    for part in np.array_split(np.arange(len(seen)), len(seen) * k // SCORES + 1) if n else []:
+        loss += [-np.log(np.maximum(softmax(z[part] / t)[np.arange(len(part)), at[part]], 1e-12)).sum() for t in scale]
     t = float(scale[int(np.argmin(loss))]) if n else 1.0
-    p = softmax(z[seen] / t) if n else np.zeros((0, k))
-    right = p.max(axis=1)[p.argmax(axis=1) == y[seen]] if n else np.zeros(0)
+    p = softmax(z / t) if n else np.zeros((0, k))
+    right = p.max(axis=1)[p.argmax(axis=1) == at] if n else np.zeros(0)
     least = min(0.5, 0.5 * float(right.min())) if len(right) else 0.0  # half the lowest confidence of a right answer
     return Model(languages, (table @ weight).astype(np.float32), bias, t, least)
 
 
-def train(docs: DataFrame, per_language: int = 600, folds: int = 3, held: int = 1) -> Model:
+def train(docs: DataFrame, per_language: int = 600, folds: int = 3, held: int = 1, most_languages: int = 1024) -> Model:
     """About `per_language` documents of each language, by hash of the id, none from the held-out fold."""
     usable = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.coalesce(common.crc() % folds != held, F.lit(False)))
-    counts = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(256).collect()}
+    counts = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).limit(most_languages + 1).collect()}
+    if len(counts) > most_languages:
+        raise ValueError(f"more than {most_languages} values of lang to learn; raise most_languages if a worker has the memory for 2**{BITS} weights of each")
     languages = sorted(counts)
     if not languages:
         return Model([], np.zeros((1 << BITS, 0), np.float32), np.zeros(0), 1.0, 0.0)
+    per_language = max(1, min(per_language, FULL * per_language // len(languages)))
     share = F.create_map(*[F.lit(v) for lang in languages for v in (lang, min(1.0, per_language / counts[lang]))])
     picked = usable.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < F.get(F.array(share[F.col("lang")]), F.lit(0)) * 1_000_000)
     picked = picked.select("doc_id", "lang").orderBy(F.xxhash64("doc_id"), "doc_id").limit(2 * per_language * len(languages))

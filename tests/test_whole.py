@@ -53,3 +53,19 @@ def test_experiments_run_the_mixed_gap_summary(spark):
     spec = MethodSpec.of(workloads._kind("gap.mixed"), "0.01", **workloads._options("gap.mixed", 6000, 2))
     parts = engine.summarize(workloads.column(spark, DATA, "z0"), "v", spec).collect()
     assert {synopsis.unpack(r["payload"]).mode for r in parts} == {"mixed"}
+
+
+def _tongues(spark, languages, each):
+    letters = [chr(0x4E00 + i) for i in range(languages)]
+    rows = [(i * each + j, letters[i] * 5, f"l{i:04d}") for i in range(languages) for j in range(each)]
+    return spark.createDataFrame(rows, "doc_id long, text string, lang string")
+
+
+def test_language_id_learns_more_than_256_languages(spark):
+    from rankspark.llm import langid
+
+    docs = _tongues(spark, 300, 8)
+    model = langid.train(docs, per_language=8)
+    assert len(model.languages) == 300
+    with pytest.raises(ValueError, match="values of lang"):
+        langid.train(docs, most_languages=299)
