@@ -10,7 +10,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rankspark import exact, shipping, synopsis
+from rankspark import exact, shipping, synopsis, theory
 from rankspark.params import ExecutionSpec, MethodSpec, fraction
 from rankspark.sources import require_numeric
 
@@ -115,6 +115,29 @@ def merge_summaries(summaries: DataFrame, by: list[str] | None = None, fan_in: i
     return summaries.groupBy(*by, F.lit(0).alias("up")).applyInArrow(join, schema_text)  # whatever is left of a group, so that one row remains
 
 
+def merge_components(summaries: DataFrame, by: list[str] | None = None, fan_in: int = 32, nodes: int | None = None, height: int | None = None) -> DataFrame:
+    """Rank samples in two stages: a tree inside each component of `height` neighbouring nodes, then a flat sum of the components."""
+    by, nodes = by or [], nodes or NODES
+    height = height or theory.tree_height(nodes, fan_in)
+    count, fields = -(-nodes // height), [summaries.schema[b] for b in by]
+    parted = summaries.withColumn("component", F.floor(F.col("node") / height)).withColumn("node", F.pmod("node", F.lit(height)))
+    inside = merge_summaries(parted, [*by, "component"], fan_in, height)
+
+    def leave(batches: Iterator[pa.RecordBatch]):
+        for b in batches:
+            rows = b.to_pylist()
+            for r in rows:
+                s = synopsis.unpack(r["payload"])
+                s.leave_component(count)
+                r["node"], r["payload"] = r["component"], s.pack()
+                r["bytes"] = len(r["payload"])
+            schema = _types(fields)
+            yield _batch([tuple(r[name] for name in schema.names) for r in rows], schema)
+
+    keys = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in fields)
+    return merge_summaries(inside.mapInArrow(leave, keys + SUMMARY), by, fan_in, count)
+
+
 def answer(merged: DataFrame, phis: list[tuple[int, int]], by: list[str] | None = None, **how) -> DataFrame:
     """by..., phi_num, phi_den, value, n, eps."""
     by = by or []
@@ -138,8 +161,9 @@ def answer(merged: DataFrame, phis: list[tuple[int, int]], by: list[str] | None
 def quantiles(df: DataFrame, column: str, phis: list[tuple[int, int]], eps, method: str = "gap", by: list[str] | None = None, run: ExecutionSpec = ExecutionSpec(), how: dict | None = None, **options) -> DataFrame:
     """The whole cycle as one lazy plan."""
     spec = MethodSpec.of(method, eps, **options)
-    nodes = run.partitions or NODES
-    return answer(merge_summaries(summarize(df, column, spec, by, run), by, run.fan_in, nodes), phis, by, **(how or {}))
+    nodes, parts = run.partitions or NODES, summarize(df, column, spec, by, run)
+    merged = merge_components(parts, by, run.fan_in, run.partitions or options.get("nodes")) if options.get("mode") == "components" else merge_summaries(parts, by, run.fan_in, nodes)
+    return answer(merged, phis, by, **(how or {}))
 
 
 def refresh(stored: DataFrame, new: DataFrame, column: str, spec: MethodSpec, by: list[str] | None = None, run: ExecutionSpec = ExecutionSpec()) -> DataFrame:

@@ -1,7 +1,8 @@
 """Rank sample: each node samples its values with a rate p and sends them with their local ranks; the rank of any value in
 a node is its sampled predecessor's plus 1/p, and nodes add up. The answer is the sampled value whose global rank is nearest.
 
-Samples merge flat, along a tree by size classes (small ones pool, equal classes carry like binary digits), or in components."""
+Samples merge flat, along a tree by size classes (small ones pool, equal classes carry like binary digits), or in components:
+along a tree inside each component of the tree, and flat across components (`engine.merge_components`)."""
 
 from __future__ import annotations
 
@@ -97,19 +98,26 @@ class RankSampleSet(Synopsis):
         if small and sum(s.size for s in small) >= limit:
             large.append(pooled(small, 1 / (e * sum(s.size for s in small)), rng))
             small = []
-        if self.mode == "tree":
-            classes: dict[int, list[Sample]] = {}
-            for s in large:
-                classes.setdefault(theory.sample_class(s.size, total, k), []).append(s)
-            c = 0
-            while c <= max(classes, default=-1):
-                held = classes.get(c, [])
-                while len(held) > 1:
-                    pair = [held.pop(), held.pop()]
-                    classes.setdefault(c + 1, []).append(pooled(pair, 1 / (e * sum(s.size for s in pair)), rng))
-                c += 1
-            large = [s for held in classes.values() for s in held]
-        self.samples = small + large
+        classes: dict[int, list[Sample]] = {}
+        for s in large:
+            classes.setdefault(theory.sample_class(s.size, total, k), []).append(s)
+        c = 0
+        while c <= max(classes, default=-1):
+            held = classes.get(c, [])
+            while len(held) > 1:
+                pair = [held.pop(), held.pop()]
+                classes.setdefault(c + 1, []).append(pooled(pair, 1 / (e * sum(s.size for s in pair)), rng))
+            c += 1
+        self.samples = small + [s for held in classes.values() for s in held]
+
+    def leave_component(self, components: int) -> None:
+        """At the border of a component: its samples become one, thinned to the rate of a flat merge of so many nodes, or to
+        the lowest rate among them. From here on samples add up."""
+        self.local_finalize()
+        if self.samples:
+            p = min([theory.sample_rate(self.total or self.n, components, self.eps), *(s.p for s in self.samples)])
+            self.samples = [pooled(self.samples, p, np.random.default_rng([self.seed, self.n, len(self.samples), components]))]
+        self.mode = "flat"
 
     def query(self, phis) -> list:
         self.local_finalize()

@@ -41,6 +41,14 @@ def sample_class(size: int, n: int, k: int) -> int:
     return c
 
 
+def tree_height(k: int, fan_in: int) -> int:
+    """Levels of merges until k nodes are one; at least 1."""
+    h = 0
+    while k > 1:
+        k, h = -(-k // fan_in), h + 1
+    return max(1, h)
+
+
 def rank_variance(k: int, p: float) -> float:
     return k / p**2
 

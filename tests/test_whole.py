@@ -69,3 +69,21 @@ def test_language_id_learns_more_than_256_languages(spark):
     assert len(model.languages) == 300
     with pytest.raises(ValueError, match="values of lang"):
         langid.train(docs, most_languages=299)
+
+
+def test_rank_sample_components_merge_in_two_stages(spark):
+    from pyspark.sql import functions as F
+
+    from rankspark import engine, synopsis
+    from rankspark.params import GRID, ExecutionSpec, MethodSpec
+
+    rows = spark.range(60_000).select(F.pmod(F.col("id") * 7919, F.lit(60_000)).alias("v"))
+    spec, run = MethodSpec.of("rsample", "0.02", mode="components", total=60_000, nodes=12), ExecutionSpec(12, 2)
+    merged = engine.merge_components(engine.summarize(rows, "v", spec, run=run), fan_in=2, nodes=12, height=4)
+    row = merged.collect()
+    held = synopsis.unpack(row[0]["payload"])
+    assert len(row) == 1 and held.n == 60_000 and held.mode == "flat"
+    assert len(held.samples) == 3 and sum(s.size for s in held.samples) == 60_000
+    told = engine.quantiles(rows, "v", GRID, "0.02", "rsample", run=run, mode="components", total=60_000, nodes=12).collect()
+    off = [abs(r["value"] - r["phi_num"] * 60_000 / r["phi_den"]) / 60_000 for r in told]
+    assert sum(off) / len(off) <= 2 * 0.02
