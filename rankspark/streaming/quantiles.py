@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from rankspark import engine, synopsis
@@ -26,7 +27,7 @@ def event_stream(spark, sf_dir: str) -> DataFrame:
 
 
 def drained(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream to the end of what is there and return its rows."""
+    """Run a stream to the end of what is there and return its rows; in update mode those of every batch, with its number as `batch`."""
     spark = stream.sparkSession
     import uuid
 
@@ -39,11 +40,13 @@ def drained(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
     kept = f"{folder}/rows"
 
     def save(batch: DataFrame, number: int) -> None:
-        batch.write.mode("overwrite").parquet(kept)  # complete mode: each batch is the whole result
+        path = f"{kept}/batch={number}" if mode == "update" else kept  # complete mode: each batch is the whole result
+        batch.write.mode("overwrite").parquet(path)
 
     query = stream.writeStream.outputMode(mode).foreachBatch(save).option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.read.schema(stream.schema).parquet(kept)
+    schema = stream.schema
+    return spark.read.schema(T.StructType([*schema.fields, T.StructField("batch", T.LongType())]) if mode == "update" else schema).parquet(kept)
 
 
 def window_counts(stream: DataFrame, ts: str, value: F.Column, length: str, slide: str | None = None, watermark: str = "1 day") -> DataFrame:
@@ -57,22 +60,23 @@ def deduplicated(stream: DataFrame, ts: str, key: str, watermark: str = "1 day")
 
 
 def windowed_summaries(stream: DataFrame, ts: str, column: str, spec: MethodSpec, length: str, watermark: str = "1 day") -> DataFrame:
-    """start, n, payload for each tumbling window: the state is one packed summary."""
+    """start, n, payload for each tumbling window that a batch changed, for update mode: the state is one packed summary.
+    A window's last row is the whole of it; behind the watermark its state goes."""
     rows = stream.withWatermark(ts, watermark).select(F.window(ts, length).alias("w"), F.col(ts).alias("ts"), F.col(column).cast("double").alias("v")).select(F.col("w.start").alias("start"), F.col("w.end").alias("stop"), "ts", "v")
 
     def absorb(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
-            payload, n = state.get
             state.remove()
-            yield pd.DataFrame({"start": [key[0]], "n": [n], "payload": [payload]})
             return
         s = synopsis.unpack(state.get[0]) if state.exists else synopsis.new(spec)
         for f in frames:
             s.absorb(f["v"].dropna().to_numpy())
-        state.update((s.pack(), s.n))
+        payload = s.pack()
+        state.update((payload, s.n))
         state.setTimeoutTimestamp(int(pd.Timestamp(key[1]).timestamp() * 1000) + 1)
+        yield pd.DataFrame({"start": [key[0]], "n": [s.n], "payload": [payload]})
 
-    return rows.groupBy("start", "stop").applyInPandasWithState(absorb, "start timestamp, n long, payload binary", "payload binary, n long", "append", GroupStateTimeout.EventTimeTimeout)
+    return rows.groupBy("start", "stop").applyInPandasWithState(absorb, "start timestamp, n long, payload binary", "payload binary, n long", "update", GroupStateTimeout.EventTimeTimeout)
 
 
 def refreshed(stream: DataFrame, column: str, spec: MethodSpec, path: str) -> None:

@@ -65,9 +65,10 @@ def equals_batch(spark: SparkSession, d: str) -> DataFrame:
 
 
 def windowed_summaries(spark: SparkSession, d: str) -> DataFrame:
-    """Windows whose state is a packed summary. The last windows stay open behind the watermark."""
+    """Windows whose state is a packed summary: the last row of each window, so the ones still open at the end are there too."""
     load_table(spark, d, "events")
-    return q.drained(q.windowed_summaries(q.event_stream(spark, d), "ts", "value", MethodSpec.of("gap", "0.01"), "1 day"), "packed").select("start", "n")
+    rows = q.drained(q.windowed_summaries(q.event_stream(spark, d), "ts", "value", MethodSpec.of("gap", "0.01"), "1 day"), "packed", "update")
+    return rows.groupBy("start").agg(F.max_by("n", "batch").alias("n"))
 
 
 def refreshed_table(spark: SparkSession, d: str) -> DataFrame:

@@ -87,3 +87,9 @@ def test_rank_sample_components_merge_in_two_stages(spark):
     told = engine.quantiles(rows, "v", GRID, "0.02", "rsample", run=run, mode="components", total=60_000, nodes=12).collect()
     off = [abs(r["value"] - r["phi_num"] * 60_000 / r["phi_den"]) / 60_000 for r in told]
     assert sum(off) / len(off) <= 2 * 0.02
+
+
+def test_windowed_summaries_hold_the_last_windows(spark):
+    rows = driver.queries()["stream_windowed_summaries"](spark, DATA).collect()
+    told = duckdb.sql(f"select strftime(ts, '%Y-%m-%d'), count(value) from '{DATA}/events.parquet' group by 1").fetchall()
+    assert sorted((r["start"].strftime("%Y-%m-%d"), r["n"]) for r in rows) == sorted(told)
