@@ -1,13 +1,15 @@
 """Benchmark decontamination by winnowing, in DataFrame operations only.
 
-A window is WINDOW words. Of the hashes of its K-grams, the least is its fingerprint, so equal windows have equal
-fingerprints, and every shared span of WINDOW words or more has at least one in common. Document windows whose
-fingerprint the benchmark lacks go at once; the others are extended to the window's words and compared with those of
-the items exactly. Neighbouring hits merge into spans, and hit words are counted over them.
+A window is WINDOW words. Of the hashes of its K-grams, the least (the rightmost of equals) is its fingerprint, so equal
+windows have equal fingerprints, and every shared span of WINDOW words or more has at least one in common. Windows that follow
+each other mostly share one: a document keeps it once, at the first of them. Document fingerprints that the benchmark lacks go
+at once. The others are extended to the windows that may share them, at most WINDOW - K + 1 places, and those are compared
+with the items' windows word by word. Neighbouring hits merge into spans, and hit words are counted over them.
 
-The documents are not shuffled: words are hashed and probed in the scan, and only hits are grouped. Item windows are
-broadcast when they number at most `broadcast_rows`, else joined by shuffle. Items of fewer words than a window are
-windows of their own length, probed by the hash of all their words, one pass for each such length that occurs.
+One scan hashes all words and probes windows and short items together: an item of fewer words than a window is a window of its
+own length, probed by the hash of all its words. With at most `broadcast_rows` item windows these are broadcast and only hits are
+grouped. With more, fingerprints (no words) are shuffled to the items' by salted keys, and the words of documents with a
+common fingerprint are fetched by one join.
 
 Defined cases: null or empty texts have no words and no hits; items without words are in no document; repeated items
 count once by id and repeated document rows each get their row; a null item_id is left out of the item list; an empty
@@ -20,9 +22,11 @@ from pyspark.sql import functions as F
 from pyspark.sql import window as W
 
 from .common import stored
-from .native import gram, run_of, word_hashes, words
+from .native import fixed, gram, run_of, word_hashes, words
 
 WINDOW, K = 10, 6
+#: Parts that the rows of one shuffled key are dealt to, so that a frequent passage or word is no single task.
+SALTS = 16
 
 
 def fingerprint(hashes: Column, at: Column, window: int = WINDOW, k: int = K) -> Column:
@@ -38,24 +42,52 @@ def item_windows(benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
     return rows.select("item_id", run_of(F.col("w"), F.col("at"), F.col("n")).alias("key"), F.col("n").alias("size"), whole.alias("print")).distinct()
 
 
+def _known(rows: DataFrame, wanted: DataFrame, on: list[str], small: bool) -> DataFrame:
+    """The rows whose key is wanted: by broadcast, or by a shuffle with each key in SALTS parts."""
+    if small:
+        return rows.join(F.broadcast(wanted), on, "left_semi")
+    parts = wanted.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return rows.withColumn("salt", F.pmod(F.xxhash64("doc_id", "th", "at"), F.lit(SALTS)).cast("int")).join(parts, [*on, "salt"], "left_semi").drop("salt")
+
+
+def anchors(docs: DataFrame, sizes: list[int], window: int) -> DataFrame:
+    """doc_id, th, w, at, size, print: the winnowed fingerprints of every document and the probes for shorter items. One scan.
+
+    A window's fingerprint is new if the gram that enters is not larger than the grams shared with the window before, or the
+    gram that left was smaller than those. Each gram is hashed once a place, in code small enough to be compiled."""
+    rows = docs.select("doc_id", F.xxhash64("text").alias("th"), words(F.col("text")).alias("w")).withColumn("h", fixed(word_hashes(F.col("w"))))
+    spread = rows.select("doc_id", "th", "w", "h", F.posexplode("h").alias("at", "one")).where(F.col("at") + min(sizes) <= F.size("w"))
+    out = None
+    if window in sizes:
+        grams = [gram(F.col("h"), F.col("at") + i, K) for i in range(-1, window - K + 1)]
+        parts = spread.select("doc_id", "th", "w", fixed(F.col("at")).alias("at"), F.least(*grams[1:-1]).alias("mid"), grams[0].alias("left"), grams[-1].alias("enters"), *(["h"] if len(sizes) > 1 else []))
+        new = (F.col("at") + window <= F.size("w")) & ((F.col("at") == 0) | (F.col("enters") <= F.col("mid")) | (F.col("left") < F.col("mid")))
+        now = F.least("mid", "enters")
+        if len(sizes) == 1:
+            return parts.where(new).select("doc_id", "th", "w", "at", F.lit(window).alias("size"), now.alias("print"))
+        spread, out = parts, F.struct(F.lit(window).alias("size"), F.when(new, now).alias("print"))
+    short = [F.struct(F.lit(n).alias("size"), F.when(F.col("at") + n <= F.size("w"), F.xxhash64(F.lit(n), F.slice("h", F.col("at") + 1, n))).alias("print")) for n in sizes if n != window]
+    return spread.select("doc_id", "th", "w", "at", F.inline(F.array(*([] if out is None else [out]), *short))).where("print is not null")
+
+
 def hits(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, broadcast_rows: int = 1_000_000) -> tuple[DataFrame, DataFrame]:
     """(doc_id, th, at, size, key) for each place of a document where an item's window stands, and the item windows."""
-    items = item_windows(benchmark, window)
+    items = stored(item_windows(benchmark, window), "items")
     sizes = {r["size"]: r["n"] for r in items.groupBy("size").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most `window` rows
     small = sum(sizes.values()) <= broadcast_rows
-    place = lambda df: F.broadcast(df) if small else df
-    rows = docs.select("doc_id", F.xxhash64("text").alias("th"), words(F.col("text")).alias("w"))
-    out = None
-    for n in sorted(sizes) or [window]:
-        wide = rows.where(F.size("w") >= n).withColumn("h", word_hashes(F.col("w")))
-        spread = wide.select("doc_id", "th", "w", "h", F.posexplode("h").alias("at", "one")).where(F.col("at") + n <= F.size("w"))
-        probe = fingerprint(F.col("h"), F.col("at"), window) if n == window else F.xxhash64(F.lit(n), F.slice("h", F.col("at") + 1, n))
-        wanted = items.where(F.col("size") == n)
-        near = spread.withColumn("print", probe).join(place(wanted.select("print").distinct()), "print", "left_semi")
-        near = near.select("doc_id", "th", "at", run_of(F.col("w"), F.col("at"), n).alias("key"))
-        found = near.join(place(wanted.select("key", "size").distinct()), "key").select("doc_id", "th", "at", "size", "key").distinct()
-        out = found if out is None else out.unionByName(found)
-    return out, items
+    near, prints = anchors(docs, sorted(sizes) or [window], window), items.select("size", "print").distinct()
+    if small:
+        near = _known(near, prints, ["size", "print"], small)
+    else:
+        near = _known(near.drop("w"), prints, ["size", "print"], small)
+        places = near.groupBy("doc_id", "th").agg(F.collect_set(F.struct("at", "size")).alias("places"))
+        places = places.select(F.col("doc_id").alias("d"), F.col("th").alias("t"), "places")
+        texts = docs.select("doc_id", "text", F.xxhash64("text").alias("th")).join(places, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("th") == F.col("t")))
+        near = texts.select("doc_id", "th", words(F.col("text")).alias("w"), "places").select("doc_id", "th", "w", F.inline("places"))
+    reach = F.least(F.col("at") + (window - K), F.size("w") - window)
+    near = near.select("doc_id", "th", "w", "size", F.explode(F.when(F.col("size") == window, F.sequence("at", reach)).otherwise(F.array("at"))).alias("at"))
+    near = near.select("doc_id", "th", "at", "size", run_of(F.col("w"), F.col("at"), F.col("size")).alias("key"))
+    return _known(near, items.select("key", "size").distinct(), ["key", "size"], small).distinct(), items
 
 
 def spans(found: DataFrame) -> DataFrame:
@@ -67,15 +99,16 @@ def spans(found: DataFrame) -> DataFrame:
     return apart.groupBy("doc_id", "th", "span").agg(F.min("at").alias("start"), F.max(F.col("at") + F.col("size")).alias("stop"))
 
 
-def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
+def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, broadcast_rows: int = 1_000_000) -> DataFrame:
     """doc_id, th, n_words, n_hit, n_items, items_sha256, contaminated, for every row of docs."""
-    found, items = hits(docs, benchmark, window)
+    found, items = hits(docs, benchmark, window, broadcast_rows)
     found = stored(found, "hits")  # read twice below
     covered = spans(found).groupBy("doc_id", "th").agg(F.sum(F.col("stop") - F.col("start")).alias("n_hit"))
     named = found.select("doc_id", "th", "key").distinct().join(items.select("key", "item_id").distinct(), "key")
     named = named.groupBy("doc_id", "th").agg(F.array_sort(F.collect_set(F.col("item_id").cast("string"))).alias("items"))
     base = docs.select("doc_id", F.xxhash64("text").alias("th"), F.size(words(F.col("text"))).cast("long").alias("n_words"))
-    known = covered.join(named, ["doc_id", "th"]).select(F.col("doc_id").alias("d"), F.col("th").alias("t"), "n_hit", "items")
+    known = covered.select(F.col("doc_id").alias("d"), F.col("th").alias("t"), "n_hit")
+    known = known.join(named, F.col("d").eqNullSafe(F.col("doc_id")) & (F.col("t") == F.col("th"))).select("d", "t", "n_hit", "items")
     out = base.join(known, F.col("doc_id").eqNullSafe(F.col("d")) & (F.col("th") == F.col("t")), "left")
     listed = F.coalesce("items", F.array().cast("array<string>"))
     return out.select(
@@ -84,9 +117,9 @@ def report(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataF
     )
 
 
-def clean(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW) -> DataFrame:
+def clean(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, broadcast_rows: int = 1_000_000) -> DataFrame:
     """The rows of docs that hold no window of the benchmark, all columns kept."""
-    found, _ = hits(docs, benchmark, window)
+    found, _ = hits(docs, benchmark, window, broadcast_rows)
     bad = found.select(F.col("doc_id").alias("__d"), F.col("th").alias("__t")).distinct()
     return docs.join(bad, F.col("doc_id").eqNullSafe(F.col("__d")) & (F.xxhash64("text") == F.col("__t")), "left_anti")
 

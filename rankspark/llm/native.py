@@ -32,3 +32,9 @@ def gram(hashes: Column, at: Column, k: int) -> Column:
 def run_of(list_of_words: Column, at: Column, k: int | Column) -> Column:
     """The k words from place `at`, ASCII lower case, with blanks between."""
     return lower_ascii(F.array_join(F.slice(list_of_words, at + 1, k), " "))
+
+
+def fixed(value: Column) -> Column:
+    """The value, made so that the optimizer cannot look through it. It and costly expressions beside it in a projection stay where
+    they are, sharing their parts; else they would be copied into filters and branches and computed there again and again."""
+    return F.when(F.rand(0) < 2, value)
