@@ -6,16 +6,17 @@ For scoring, table and softmax are multiplied once, so a document costs one gath
 and the rejection threshold are set on documents that the training did not see.
 
 Every value of lang is learned. The training sample is bounded: `per_language` documents of each, and fewer past 256
-languages, so that no more than 256 times as many are drawn in all. Counts per language and scores cover all rows. The
+languages, so that no more than 256 times as many are drawn in all, however many rows share an id. Counts per language and scores cover all rows. The
 model has a column for each language in every worker, so `train` raises a ValueError beyond `most_languages`.
 
 Defined cases: null texts and texts without a letter get `und`, score 0 and accepted false; an empty table gives no
 rows; without any training language every row gets `und`; repeated rows each get their row; other columns are
-ignored; a null doc_id is not held out. Texts of any length are read whole, a piece at a time."""
+ignored; a null doc_id is not held out. Texts of any length count as one; subwords are hashed a piece at a time."""
 
 from __future__ import annotations
 
 import sys
+from collections.abc import Iterator
 from dataclasses import dataclass
 from functools import lru_cache
 
@@ -23,6 +24,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import window as W
 
 from . import common
 
@@ -36,18 +38,31 @@ def _letters() -> np.ndarray:
     return np.fromiter((chr(c).isalpha() for c in range(sys.maxunicode + 1)), dtype=bool, count=sys.maxunicode + 1)
 
 
-def subwords(text: str) -> np.ndarray:
-    """Hashed ids of all runs of 1 to 3 characters; empty without a letter."""
+def subwords(text: str) -> Iterator[np.ndarray]:
+    """Hashed ids of all runs of 1 to 3 characters, PIECE starting places at a time; runs reach over a piece's edge as if the
+    text were one. Nothing without a letter."""
     c = np.frombuffer(text.lower().encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
     letter = _letters()[c]
     if not letter.any():
-        return np.zeros(0, dtype=np.uint32)
+        return
     c = np.concatenate([[np.uint32(32)], np.where(letter, c, np.uint32(32)), [np.uint32(32)]]).astype(np.uint32)
-    letter = c != 32
     mix = lambda h: (h * np.uint32(0x9E3779B1)) >> np.uint32(32 - BITS)
-    two = c[:-1] * np.uint32(0x85EBCA6B) + c[1:]
-    three = (two[:-1] ^ (two[:-1] >> np.uint32(13))) * np.uint32(0xC2B2AE35) + c[2:]
-    return np.concatenate([mix(c[letter] + np.uint32(77)), mix(two[letter[:-1] | letter[1:]] ^ np.uint32(0x5BD1E995)), mix(three[letter[1:-1]])])
+    for at in range(0, len(c), PIECE):
+        part = c[at : at + PIECE + 2]
+        letter = part != 32
+        two = part[:-1] * np.uint32(0x85EBCA6B) + part[1:]
+        three = (two[:-1] ^ (two[:-1] >> np.uint32(13))) * np.uint32(0xC2B2AE35) + part[2:]
+        one, pair = letter[:PIECE], (letter[:-1] | letter[1:])[:PIECE]
+        yield np.concatenate([mix(part[:PIECE][one] + np.uint32(77)), mix(two[:PIECE][pair] ^ np.uint32(0x5BD1E995)), mix(three[:PIECE][letter[1:-1][:PIECE]])])
+
+
+def bag(text: str) -> tuple[np.ndarray, np.ndarray]:
+    """The distinct subwords of a text and how often each occurs."""
+    n = np.zeros(1 << BITS, dtype=np.int64)
+    for ids in subwords(text):
+        n += np.bincount(ids, minlength=1 << BITS)
+    ids = np.flatnonzero(n)
+    return ids, n[ids]
 
 
 @dataclass
@@ -60,11 +75,9 @@ class Model:
 
     def logits(self, text: str) -> np.ndarray | None:
         total, n = np.zeros(len(self.languages)), 0
-        for at in range(0, max(1, len(text)), PIECE):
-            ids = subwords(text[at : at + PIECE])
-            if len(ids):
-                total += self.table.take(ids, axis=0).sum(axis=0, dtype=np.float64)
-                n += len(ids)
+        for ids in subwords(text):
+            total += self.table.take(ids, axis=0).sum(axis=0, dtype=np.float64)
+            n += len(ids)
         return total / n + self.bias if n else None
 
     def predict(self, text: str | None) -> tuple[str, float, bool]:
@@ -112,23 +125,27 @@ def fit(bags: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, languages: lis
 
 
 def train(docs: DataFrame, per_language: int = 600, folds: int = 3, held: int = 1, most_languages: int = 1024) -> Model:
-    """About `per_language` documents of each language, by hash of the id, none from the held-out fold."""
+    """The `per_language` documents of each language with the smallest hashes of their ids, none from the held-out fold. Equal
+    rows of one id count once."""
     usable = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.coalesce(common.crc() % folds != held, F.lit(False)))
-    counts = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).limit(most_languages + 1).collect()}
+    # about how many different rows each language has, so that few more than wanted are ranked
+    counts = {r["lang"]: r["n"] for r in usable.groupBy("lang").agg(F.approx_count_distinct("doc_id").alias("n")).limit(most_languages + 1).collect()}
     if len(counts) > most_languages:
         raise ValueError(f"more than {most_languages} values of lang to learn; raise most_languages if a worker has the memory for 2**{BITS} weights of each")
     languages = sorted(counts)
     if not languages:
         return Model([], np.zeros((1 << BITS, 0), np.float32), np.zeros(0), 1.0, 0.0)
     per_language = max(1, min(per_language, FULL * per_language // len(languages)))
-    share = F.create_map(*[F.lit(v) for lang in languages for v in (lang, min(1.0, per_language / counts[lang]))])
-    picked = usable.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < F.get(F.array(share[F.col("lang")]), F.lit(0)) * 1_000_000)
-    picked = picked.select("doc_id", "lang").orderBy(F.xxhash64("doc_id"), "doc_id").limit(2 * per_language * len(languages))
-    sample = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").where("text is not null")
+    share = F.create_map(*[F.lit(v) for lang in languages for v in (lang, min(1.0, (1.5 * per_language + 50) / max(1, counts[lang])))])
+    near = usable.where(F.xxhash64("doc_id") / F.lit(2.0**64) + 0.5 < F.get(F.array(share[F.col("lang")]), F.lit(0)))
+    first = W.Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id", "th")
+    picked = near.select("doc_id", "lang", F.xxhash64("text").alias("th")).distinct().withColumn("place", F.row_number().over(first)).where(F.col("place") <= per_language)
+    texts = near.select("doc_id", "lang", "text", F.xxhash64("text").alias("th")).join(F.broadcast(picked.drop("place")), ["doc_id", "lang", "th"], "left_semi")
+    sample = texts.dropDuplicates(["doc_id", "lang", "th"])
 
     def run(batches):
         for b in common.slices(batches, 64):
-            bags = [np.unique(subwords(t), return_counts=True) for t in b.column(2).to_pylist()]
+            bags = [bag(t) for t in b.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([i.astype(np.int32) for i, _ in bags], pa.list_(pa.int32())), pa.array([c.astype(np.int32) for _, c in bags], pa.list_(pa.int32()))], ["doc_id", "lang", "ids", "counts"])
 
     got = sample.select("doc_id", "lang", "text").mapInArrow(run, "doc_id long, lang string, ids array<int>, counts array<int>").toArrow()
