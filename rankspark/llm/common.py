@@ -53,18 +53,29 @@ def crc(column: str = "doc_id"):
     return F.crc32(F.col(column).cast("string").cast("binary"))
 
 
+def bounded(texts: DataFrame, keys: list[str], rows: int) -> DataFrame:
+    """At most `rows` rows of a written table of (keys..., text), by smallest hash of doc_id: equal rows count once, and the
+    bound holds however many rows share a doc_id. Keys and text hashes are ranked, never texts."""
+    hashed = texts.withColumn("th", F.xxhash64("text"))
+    picked = hashed.select(*keys, "th").distinct().orderBy(F.xxhash64("doc_id"), *keys, "th").limit(rows)
+    return hashed.join(F.broadcast(picked), [*keys, "th"], "left_semi").dropDuplicates([*keys, "th"]).select(*keys, "text")
+
+
 def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, rows: int, folds: int = 5) -> DataFrame:
     """At most `rows` labelled documents outside the held-out fold, by smallest hash of the id: (doc_id, text, y).
 
-    The sample is bounded, so broadcasting it is safe at any size of the tables."""
+    Labels are bounded first, so broadcasting them is safe at any size; what they meet is bounded again, since one id may
+    stand in many rows. The sample is a written table of its own: reading it again does not read the documents."""
     picked = (
         labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull())
         .select("doc_id", F.col(label).cast("int").alias("y"))
         .where(crc() % folds != 0)
+        .distinct()
         .orderBy(F.xxhash64("doc_id"), "doc_id", "y")
         .limit(rows)
     )
-    return docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id")
+    met = stored(docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(picked), "doc_id"), "labelled")
+    return stored(bounded(met, ["doc_id", "y"], rows), "sample").select("doc_id", "text", "y")
 
 
 def gathered(df: DataFrame, features: Callable, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

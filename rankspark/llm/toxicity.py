@@ -35,6 +35,7 @@ THREATS = "kill die hurt destroy burn hang shoot hate punch murder stab töten h
 SECOND_PERSON = "you your yours yourself u ur du dich dir dein deine tu te toi ton ta tes vous votre tú ti usted ustedes vosotros su".split()
 LEET = str.maketrans({"0": "o", "1": "i", "3": "e", "4": "a", "5": "s", "7": "t", "8": "b", "@": "a", "$": "s", "!": "i", "*": "", "+": "t", "_": "", "-": "", ".": ""})
 MIXED = re.compile(r"[A-Za-z][0134578@$!*+]+[A-Za-z]|(?<![A-Za-z])[A-Za-z](?:[._*\-][A-Za-z]){3,}")
+REST = re.compile(r"\S*")
 WIDTH = 32
 #: Lengths of the word beginnings that the learned lexicon is drawn from.
 BEGINNINGS = range(4, 9)
@@ -92,16 +93,18 @@ def features(terms: tuple[tuple[str, float], ...], text: str | None) -> list[flo
                         kinds.add(word)
     near = [min((abs(p - s) for s in at[2][max(0, bisect_left(at[2], p) - 1) :][:2]), default=10_000) for p in at[0]]
     close = [b - a for a, b in zip(at[0], at[0][1:], strict=False)]
-    mixed = hidden = 0
+    mixed = hidden = reach = 0
+    insult = False
     for m in MIXED.finditer(text):
         mixed += 1
-        a, b = m.span()
-        while a > 0 and not text[a - 1].isspace() and m.start() - a < 40:
-            a -= 1
-        while b < len(text) and not text[b].isspace() and b - m.end() < 40:
-            b += 1
-        plain = text[a:b].lower().strip(",;:?\"'()").translate(LEET)
-        hidden += plain in INSULT_SET or plain.rstrip("i") in INSULT_SET
+        if m.start() >= reach:  # a word not looked at yet; a word's matches share its answer
+            first = m.start()
+            while first > reach and not text[first - 1].isspace():
+                first -= 1
+            reach = REST.match(text, m.end()).end()
+            plain = text[first:reach].lower().strip(",;:?\"'()").translate(LEET)
+            insult = plain in INSULT_SET or plain.rstrip("i") in INSULT_SET
+        hidden += insult
     hits = len(at[0])
     thousand = 1000.0 / words
     return [
@@ -164,7 +167,8 @@ def learned_terms(sample: DataFrame, most: int = 300) -> tuple[tuple[str, float]
 def train(docs: DataFrame, labels: DataFrame, sample_rows: int = 10_000) -> tuple[tuple, Calibrated]:
     """Each half of the sample gets its features from the lexicon that the other half chose; texts to be scored
     get theirs from the lexicon of both. Scores of left-out fifths fit the calibration, all rows grow the trees."""
-    sample = common.labelled_sample(docs, labels, "toxic", sample_rows).withColumn("half", F.pmod(F.xxhash64(F.lit(7), "doc_id"), F.lit(2)))
+    sample = common.labelled_sample(docs, labels, "toxic", sample_rows)
+    sample = sample.withColumn("half", F.pmod(F.xxhash64(F.lit(7), "doc_id"), F.lit(2)))
     parts = []
     for half in (0, 1):
         terms = learned_terms(sample.where(F.col("half") != half))
