@@ -38,6 +38,10 @@ from . import common
 
 PLACES, BANDS, BITS = 128, 32, 4096
 FIRST_BANDS, PIVOT_ROUNDS = 6, 2
+#: Members of a bucket that a cell of its pairs takes from each side.
+BLOCK = 256
+#: A class of more than this share of all rows is joined by broadcast: there are fewer than HEAVY of them.
+HEAVY = 10_000
 #: Ids that are broadcast at most; more are joined by shuffle.
 BROADCAST_ROWS = 500_000
 U = np.uint64
@@ -214,11 +218,20 @@ def _near(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 def _crossing(rest: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """(u, v): pairs of a bucket from two components that sizes and bits allow, each in the first band that they share only.
-    All tests are part of the join, so other pairs are never rows."""
-    a = rest.join(_own(sets, "a", F.col("id").alias("rep"), F.col("bands").alias("ba")), "rep").select("band", "key", F.col("rep").alias("ra"), F.col("c").alias("ca"), "na", "ba", "fa", "ta")
-    b = a.toDF("band_b", "key_b", "rb", "cb", "nb", "bb", "fb", "tb")
+    All tests are part of the join, so other pairs are never rows. A bucket of more than BLOCK members is dealt to blocks, and
+    each pair of blocks is a cell of its own, so no task holds more than two blocks of a bucket."""
+    sizes = rest.groupBy("band", "key").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"))
+    large = sizes.where("blocks > 1")  # at most rows / BLOCK of them
+    a = rest.join(large, ["band", "key"], "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
+    a = a.withColumn("block", F.pmod(F.xxhash64("rep", "band"), F.col("blocks")).cast("int"))
+    cell = F.transform(F.sequence(F.lit(0), F.col("blocks") - 1), lambda y: F.least("block", y) * F.col("blocks") + F.greatest("block", y))
+    a = a.withColumn("cell", F.explode(cell)).withColumn("inside", F.col("cell") == F.col("block") * (F.col("blocks") + 1))
+    a = a.join(_own(sets, "a", F.col("id").alias("rep"), F.col("bands").alias("ba")), "rep")
+    a = a.select("band", "key", "cell", F.col("block").alias("xa"), "inside", F.col("rep").alias("ra"), F.col("c").alias("ca"), "na", "ba", "fa", "ta")
+    b = a.toDF("band_b", "key_b", "cell_b", "xb", "inside_b", "rb", "cb", "nb", "bb", "fb", "tb")
     first = F.array_position(F.zip_with("ba", "bb", lambda x, y: x == y), True) == F.col("band") + 1
-    met = a.join(b, (F.col("band") == F.col("band_b")) & (F.col("key") == F.col("key_b")) & (F.col("ca") < F.col("cb")) & _possible(percent) & first)
+    same = (F.col("band") == F.col("band_b")) & (F.col("key") == F.col("key_b")) & (F.col("cell") == F.col("cell_b"))
+    met = a.join(b, same & (F.col("inside") | (F.col("xa") != F.col("xb"))) & (F.col("ca") < F.col("cb")) & _possible(percent) & first)
     return met.select(*_ordered("ra", "rb"))
 
 
@@ -295,7 +308,7 @@ def group(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     """doc_id, n_shingles, component_id, kept: one row for each row of docs."""
     sketch = common.stored(sketched(docs, k), "sketch")
     real = sketch.where("n_shingles > 0 and doc_id is not null")
-    classes = real.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"))
+    classes = real.groupBy("d1", "d2").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"))
     heads = real.join(classes.select(F.col("rep").alias("doc_id"), "d1", "d2"), ["doc_id", "d1", "d2"], "left_semi")
     spread = heads.select(F.col("doc_id").alias("rep"), F.posexplode("bands").alias("band", "key"))
     shared = spread.groupBy("band", "key").agg(F.min("rep").alias("a"), F.max("rep").alias("z")).where("a < z").select("band", "key")
@@ -331,10 +344,17 @@ def group(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
     if labels is None:
         labels = components(tried.limit(0))
 
-    final = _labelled(classes, labels, "rep", "component_id").select("d1", "d2", F.col("component_id").alias("found"))
-    out = sketch.select("doc_id", "n_shingles", "d1", "d2").join(final, ["d1", "d2"], "left")
-    component = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("found")).otherwise(F.col("doc_id"))
-    return out.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
+    final = _labelled(classes, labels, "rep", "component_id").select("d1", "d2", F.col("component_id").alias("found"), "copies")
+    # empty sets join with nothing; classes that hold a large share of the rows travel to them, the others meet theirs by shuffle
+    rows = sketch.select("doc_id", "n_shingles", "d1", "d2")
+    least = real.count() // HEAVY
+    heavy = final.where((F.col("copies") > least) & (F.col("copies") > 1))
+    apart = rows.where("not (n_shingles > 0 and doc_id is not null)").withColumn("found", F.col("doc_id"))
+    own = rows.where("n_shingles > 0 and doc_id is not null").join(F.broadcast(heavy.select("d1", "d2", F.col("found").alias("held"))), ["d1", "d2"], "left")
+    own = common.stored(own, "classes")
+    others = own.where("held is null").drop("held").join(final.select("d1", "d2", "found"), ["d1", "d2"])
+    out = own.where("held is not null").withColumnRenamed("held", "found").unionByName(others).unionByName(apart)
+    return out.select("doc_id", "n_shingles", F.col("found").alias("component_id"), (F.col("doc_id").eqNullSafe(F.col("found"))).alias("kept"))
 
 
 def deduplicated(docs: DataFrame, k: int = 5, percent: int = 80) -> DataFrame:
