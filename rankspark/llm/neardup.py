@@ -38,8 +38,8 @@ from . import common
 
 PLACES, BANDS, BITS = 128, 32, 4096
 FIRST_BANDS, PIVOT_ROUNDS = 6, 2
-#: Members of a bucket that a cell of its pairs takes from each side.
-BLOCK = 256
+#: Members of a bucket that a cell of its pairs takes from each side. A bucket of m members has its rows m / BLOCK times in cells.
+BLOCK = 2048
 #: A class of more than this share of all rows is joined by broadcast: there are fewer than HEAVY of them.
 HEAVY = 10_000
 #: Ids that are broadcast at most; more are joined by shuffle.

@@ -242,3 +242,59 @@ def test_pipeline_stages(spark):
     bad = {r["doc_id"] for r in decontamination.report(table(spark, DATA, "documents"), table(spark, DATA, "benchmark")).where("contaminated").collect()}
     assert kept[3][1] == kept[2][1] - bad
     assert {r["doc_id"] for r in corpus_pipeline.run(spark, DATA).collect()} == kept[3][1]
+
+
+def test_sample_is_bounded_whatever_repeats(spark):
+    docs = spark.range(3000).select(F.lit(1).cast("long").alias("doc_id"), F.concat(F.lit("text "), (F.col("id") % 700).cast("string")).alias("text"), F.lit("en").alias("lang"))
+    labels = spark.createDataFrame([(1, 1, 1, "x"), (1, 1, 1, "x"), (2, 0, 0, "y")], LABELS)
+    from rankspark.llm import common
+
+    assert common.labelled_sample(docs, labels, "toxic", 100).count() == 100
+    same = docs.withColumn("text", F.lit("one text"))
+    assert common.labelled_sample(same, labels, "toxic", 100).count() == 1
+    assert langid.train(docs, per_language=50).languages == ["en"]
+
+
+def test_language_pieces_score_as_one_text():
+    text, size = "Straße über ünïcode, naïve Σ words. " * 40, langid.PIECE
+    model = langid.Model(["a", "b"], np.random.default_rng(1).normal(size=(1 << langid.BITS, 2)).astype(np.float32), np.zeros(2), 1.0, 0.0)
+    whole, bag = model.logits(text), langid.bag(text)
+    try:
+        langid.PIECE = 7
+        assert model.logits(text) == pytest.approx(whole, abs=1e-9) and all((x == y).all() for x, y in zip(langid.bag(text), bag, strict=True))
+    finally:
+        langid.PIECE = size
+
+
+def test_hidden_insults_in_long_words():
+    far = "x" * 100 + "1d1ot"
+    short, long = toxicity.features((), "an !d!0t here"), toxicity.features((), f"an {far} here")
+    assert short[10] == 1 and long[10] == 0
+    assert toxicity.features((), "#" * 100 + "?" * 60 + "'1d1ot' x1x")[10] == 0 and toxicity.features((), "?" * 60 + "i.d.i.o.t" + "?" * 60)[10] == 1
+
+
+def test_decontamination_by_both_paths(spark, tmp_path):
+    rnd = random.Random(1)
+    docs = [(i, " ".join(rnd.choice("abc") for _ in range(rnd.randint(0, 60)))) for i in range(120)] + [(None, "a b c"), (5, None), (6, "a " * 50)]
+    items = [(i, " ".join(rnd.choice("abc") for _ in range(rnd.choice([0, 1, 3, 9, 10, 12, 14])))) for i in range(30)] + [(99, "a " * 12)]
+    for kept in (items, [x for x in items if len(x[1].split()) >= 10]):
+        d, b = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(kept, "item_id long, text string")
+        db = duckdb.connect()
+        for name, df in (("documents", d), ("benchmark", b)):
+            path = str(tmp_path / f"{name}{len(kept)}")
+            df.write.parquet(path)
+            db.execute(f"create view {name} as select * from '{path}/*.parquet'")
+        told = db.execute(decontamination.SQL)
+        names = [c[0] for c in told.description]
+        want = sorted((tuple(r[names.index(c)] for c in sorted(names)) for r in told.fetchall()), key=str)
+        for rows in (1_000_000, 1):
+            got = decontamination.report(d, b, broadcast_rows=rows).drop("th")
+            assert sorted((tuple(r[c] for c in sorted(names)) for r in got.collect()), key=str) == want
+
+
+def test_near_duplicates_in_cells(spark, monkeypatch):
+    docs = table(spark, DATA, "documents")
+    whole = sorted(map(tuple, neardup.group(docs, 2).collect()))
+    monkeypatch.setattr(neardup, "BLOCK", 2)
+    monkeypatch.setattr(neardup, "HEAVY", 3)
+    assert sorted(map(tuple, neardup.group(docs, 2).collect())) == whole
