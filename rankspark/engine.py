@@ -12,19 +12,29 @@ from pyspark.sql import functions as F
 
 from rankspark import exact, shipping, synopsis, theory
 from rankspark.params import ExecutionSpec, MethodSpec, fraction
-from rankspark.sources import require_numeric
+from rankspark.sources import long_codec, require_numeric
 
 SUMMARY = "method string, node long, n long, n_null long, eps double, vmin double, vmax double, payload binary, bytes long"
 #: Groups that one worker holds at once; more are sent on and merged later.
 MOST_GROUPS = 20_000
-#: Partial summaries to expect where the number of partitions is not given; more than that only makes the last merge larger.
-NODES = 1024
+#: Partial summaries to expect where the number of partitions is not given: the tree has the depth for so many, so that no merge
+#: takes more than `fan_in` summaries of a group.
+NODES = 1 << 20
+#: Chunks that each partial gets when sorted rows are dealt in turn.
+CHUNKS = 8
 
 
 def shaped(df: DataFrame, column: str, spec: ExecutionSpec) -> DataFrame:
-    """The number of partitions and the order of arrival, if asked for; else the input's own, without a shuffle."""
-    if spec.partitions:
-        df = df.repartition(spec.partitions) if spec.order == "stored" else df.repartition(spec.partitions, column) if spec.order == "random" else df.repartitionByRange(spec.partitions, column)
+    """The number of partitions and the order of arrival, if asked for; else the input's own, without a shuffle.
+
+    Rows are dealt by their places, never by their values: one value meets all partials. "random": by a hash of a row's place.
+    "sorted": the increasing order is cut into consecutive chunks, and chunk c goes to partial c mod `partitions`."""
+    k = spec.partitions
+    if k and spec.order == "sorted":
+        chunk = df.repartitionByRange(k * CHUNKS, column).withColumn("__chunk", F.spark_partition_id())
+        df = chunk.repartitionById(k, F.pmod("__chunk", F.lit(k)).cast("int")).drop("__chunk")
+    elif k:
+        df = df.repartition(k) if spec.order == "stored" else df.withColumn("__place", F.xxhash64(F.monotonically_increasing_id())).repartition(k, "__place").drop("__place")
     return df.sortWithinPartitions(column) if spec.order == "sorted" else df
 
 
@@ -138,24 +148,30 @@ def merge_components(summaries: DataFrame, by: list[str] | None = None, fan_in:
     return merge_summaries(inside.mapInArrow(leave, keys + SUMMARY), by, fan_in, count)
 
 
-def answer(merged: DataFrame, phis: list[tuple[int, int]], by: list[str] | None = None, **how) -> DataFrame:
-    """by..., phi_num, phi_den, value, n, eps."""
+def answer(merged: DataFrame, phis: list[tuple[int, int]], by: list[str] | None = None, whole: bool = False, **how) -> DataFrame:
+    """by..., phi_num, phi_den, value, n, eps. With `whole` the value is a long, and r_lo and r_hi bound how many values are
+    not larger than it."""
     by = by or []
     fields = [merged.schema[b] for b in by]
+    more = ", r_lo long, r_hi long" * whole
+    kind = (pa.int64(), int) if whole else (pa.float64(), float)
 
     def ask(batches: Iterator[pa.RecordBatch]):
+        from pyspark.sql.pandas.types import to_arrow_type
+
+        bounds = [("r_lo", pa.int64()), ("r_hi", pa.int64())] * whole
+        schema = pa.schema([(f.name, to_arrow_type(f.dataType)) for f in fields] + [("phi_num", pa.int32()), ("phi_den", pa.int32()), ("value", kind[0]), ("n", pa.int64()), ("eps", pa.float64()), *bounds])
         for b in batches:
             rows = []
             for r in b.to_pylist():
-                for (a, d), v in zip(phis, synopsis.unpack(r["payload"]).query(phis, **how), strict=True):
-                    rows.append((*[r[k] for k in by], a, d, None if v is None else float(v), r["n"], r["eps"]))
-            from pyspark.sql.pandas.types import to_arrow_type
-
-            schema = pa.schema([(f.name, to_arrow_type(f.dataType)) for f in fields] + [("phi_num", pa.int32()), ("phi_den", pa.int32()), ("value", pa.float64()), ("n", pa.int64()), ("eps", pa.float64())])
+                s = synopsis.unpack(r["payload"])
+                for (a, d), v in zip(phis, s.query(phis, **how), strict=True):
+                    span = () if not whole else (None, None) if v is None else s.rank(v)
+                    rows.append((*[r[k] for k in by], a, d, None if v is None else kind[1](v), r["n"], r["eps"], *span))
             yield _batch(rows, schema)
 
     keys = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in fields)
-    return merged.mapInArrow(ask, keys + "phi_num int, phi_den int, value double, n long, eps double")
+    return merged.mapInArrow(ask, keys + f"phi_num int, phi_den int, value {'long' if whole else 'double'}, n long, eps double" + more)
 
 
 def quantiles(df: DataFrame, column: str, phis: list[tuple[int, int]], eps, method: str = "gap", by: list[str] | None = None, run: ExecutionSpec = ExecutionSpec(), how: dict | None = None, **options) -> DataFrame:
@@ -166,6 +182,15 @@ def quantiles(df: DataFrame, column: str, phis: list[tuple[int, int]], eps, meth
     return answer(merged, phis, by, **(how or {}))
 
 
+def typed_quantiles(df: DataFrame, column: str, phis: list[tuple[int, int]], eps, by: list[str] | None = None, run: ExecutionSpec = ExecutionSpec(), mode: str = "batch") -> DataFrame:
+    """by..., phi_num, phi_den, value, n, eps, r_lo, r_hi by the gap summary, for columns whose order a long can carry: integers of
+    any size, dates, timestamps, decimals of up to 18 digits. Values keep the column's type."""
+    encode, decode = long_codec(df.schema[column].dataType)
+    rows = df.select(*(by or []), encode(F.col(column)).alias(column))
+    merged = merge_summaries(summarize(rows, column, MethodSpec.of("gap", eps, mode=mode), by, run), by, run.fan_in, run.partitions)
+    return answer(merged, phis, by, whole=True).withColumn("value", decode(F.col("value")))
+
+
 def refresh(stored: DataFrame, new: DataFrame, column: str, spec: MethodSpec, by: list[str] | None = None, run: ExecutionSpec = ExecutionSpec()) -> DataFrame:
     """Stored summary rows with the summaries of new data merged in; the old data are not read."""
     return merge_summaries(stored.unionByName(summarize(new, column, spec, by, run)), by, run.fan_in, run.partitions or NODES)

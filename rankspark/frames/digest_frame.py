@@ -21,7 +21,7 @@ def with_threshold(nodes: DataFrame, eps, bits: int, by: list[str] | None = None
     e = fraction(eps)
     totals = nodes.groupBy(*(by or [])).agg(F.sum("cnt").alias("n"))
     limit = totals.withColumn("t", F.expr(f"{e.numerator} * n div {e.denominator * bits}")).drop("n")
-    return nodes.join(F.broadcast(limit), by) if by else nodes.join(F.broadcast(limit))  # one row for each digest
+    return nodes.join(limit, by) if by else nodes.join(F.broadcast(limit))  # a row for each digest: one without keys
 
 
 def compress(nodes: DataFrame, eps, bits: int, by: list[str] | None = None) -> DataFrame:

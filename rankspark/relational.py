@@ -205,15 +205,9 @@ def _analytic(spark, d):
     return t(spark, d, "orders").select(k, F.lag(k).over(w).alias("prev"), F.lead(k, 2).over(w).alias("next2"), F.first(k).over(w).alias("head"), F.nth_value(k, 2).over(every).alias("second"), F.last(k).over(every).alias("tail"))
 
 
-@entry("cumulative_rank", "SELECT l_orderkey, l_linenumber, CAST(sum(CAST(l_quantity AS BIGINT)) OVER (PARTITION BY l_suppkey ORDER BY l_orderkey RANGE UNBOUNDED PRECEDING) AS BIGINT) AS upto, count(*) OVER (PARTITION BY l_suppkey ORDER BY l_quantity RANGE UNBOUNDED PRECEDING) - 1 AS rank FROM lineitem WHERE l_linenumber < 3")
-def _cumulative(spark, d):
-    w = W.Window.partitionBy("l_suppkey")
-    return t(spark, d, "lineitem").where("l_linenumber < 3").select("l_orderkey", "l_linenumber", F.sum(F.col("l_quantity").cast("long")).over(w.orderBy("l_orderkey").rangeBetween(W.Window.unboundedPreceding, 0)).alias("upto"), (F.count(F.lit(1)).over(w.orderBy("l_quantity").rangeBetween(W.Window.unboundedPreceding, 0)) - 1).alias("rank"))
-
-
 @entry("cumulative_rank_all", "SELECT l_orderkey, l_linenumber, CAST(sum(CAST(l_quantity AS BIGINT)) OVER (PARTITION BY l_suppkey ORDER BY l_orderkey RANGE UNBOUNDED PRECEDING) AS BIGINT) AS upto, count(*) OVER (PARTITION BY l_suppkey ORDER BY l_quantity RANGE UNBOUNDED PRECEDING) - 1 AS rank FROM lineitem")
 def _cumulative_all(spark, d):
-    """The frames of cumulative_rank over all rows of a supplier."""
+    """Frames over all rows of a supplier."""
     w = W.Window.partitionBy("l_suppkey")
     return t(spark, d, "lineitem").select("l_orderkey", "l_linenumber", F.sum(F.col("l_quantity").cast("long")).over(w.orderBy("l_orderkey").rangeBetween(W.Window.unboundedPreceding, 0)).alias("upto"), (F.count(F.lit(1)).over(w.orderBy("l_quantity").rangeBetween(W.Window.unboundedPreceding, 0)) - 1).alias("rank"))
 
@@ -243,15 +237,9 @@ def _sorted_parts(spark, d):
     return ends.agg(F.sum("c").alias("rows"), F.bool_and(F.coalesce(F.col("before") <= F.col("lo"), F.lit(True))).alias("increasing"))
 
 
-@entry("union_keys", "SELECT k, count(*) AS rows FROM (SELECT l_suppkey AS k FROM lineitem WHERE l_linenumber = 1 UNION ALL SELECT s_suppkey FROM supplier) GROUP BY k")
-def _union(spark, d):
-    li, s = t(spark, d, "lineitem", "supplier")
-    return li.where("l_linenumber = 1").select(F.col("l_suppkey").alias("k")).unionByName(s.select(F.col("s_suppkey").alias("k"))).groupBy("k").agg(F.count(F.lit(1)).alias("rows"))
-
-
 @entry("union_keys_all", "SELECT k, count(*) AS rows FROM (SELECT l_suppkey AS k FROM lineitem UNION ALL SELECT s_suppkey FROM supplier) GROUP BY k")
 def _union_all(spark, d):
-    """The union of union_keys over all rows of lineitem."""
+    """A union over all rows of both tables."""
     li, s = t(spark, d, "lineitem", "supplier")
     return li.select(F.col("l_suppkey").alias("k")).unionByName(s.select(F.col("s_suppkey").alias("k"))).groupBy("k").agg(F.count(F.lit(1)).alias("rows"))
 
@@ -340,14 +328,8 @@ def _delay(spark, d):
     return exact.exact_quantiles(li.join(o, F.col("l_orderkey") == F.col("o_orderkey")).select("l_returnflag", F.datediff("l_shipdate", "o_orderdate").cast("long").alias("v")), "v", PHIS, ["l_returnflag"])
 
 
-@entry("embedding_coord_quantiles", exact.quantile_sql("(SELECT i, CAST(floor(x * 1000000) AS BIGINT) AS v FROM (SELECT unnest(range(0, 4)) AS i, unnest(embedding[1:4]) AS x FROM embeddings))", "v", PHIS, ["i"]))
-def _coords(spark, d):
-    rows = t(spark, d, "embeddings").select(F.posexplode(F.slice("embedding", 1, 4)).alias("i", "x"))
-    return exact.exact_quantiles(rows.select(F.col("i").cast("long").alias("i"), F.floor(F.col("x") * F.lit(1000000).cast("float")).cast("long").alias("v")), "v", PHIS, ["i"])
-
-
 @entry("embedding_coord_quantiles_all", exact.quantile_sql("(SELECT i, CAST(floor(x * 1000000) AS BIGINT) AS v FROM (SELECT unnest(range(0, len(embedding))) AS i, unnest(embedding) AS x FROM embeddings))", "v", PHIS, ["i"]))
 def _coords_all(spark, d):
-    """embedding_coord_quantiles over every component of the vectors."""
+    """Every component of the vectors."""
     rows = t(spark, d, "embeddings").select(F.posexplode("embedding").alias("i", "x"))
     return exact.exact_quantiles(rows.select(F.col("i").cast("long").alias("i"), F.floor(F.col("x") * F.lit(1000000).cast("float")).cast("long").alias("v")), "v", PHIS, ["i"])

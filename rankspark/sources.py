@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import uuid
+from collections.abc import Callable, Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -24,13 +25,27 @@ def scratch(spark: SparkSession) -> str:
 
 def require_numeric(df: DataFrame, column: str) -> None:
     kind = df.schema[column].dataType
-    if not isinstance(kind, (T.NumericType, T.TimestampType, T.DateType)):
-        raise TypeError(f"{column} is {kind.simpleString()}, which has no quantiles here")
+    if not isinstance(kind, T.NumericType) or isinstance(kind, T.DecimalType):
+        raise TypeError(f"{column} is {kind.simpleString()}; summaries take integers and floats, dates, timestamps and decimals go through engine.typed_quantiles")
+
+
+def long_codec(kind: T.DataType) -> tuple[Callable, Callable]:
+    """How a column of this type becomes a long of the same order, and back."""
+    if isinstance(kind, T.IntegralType):
+        return lambda c: c.cast("long"), lambda c: c.cast(kind)
+    if isinstance(kind, T.DateType):
+        return lambda c: F.unix_date(c).cast("long"), lambda c: F.date_from_unix_date(c.cast("int"))
+    if isinstance(kind, (T.TimestampType, T.TimestampNTZType)):
+        return lambda c: F.unix_micros(c.cast("timestamp")), lambda c: F.timestamp_micros(c).cast(kind)
+    if isinstance(kind, T.DecimalType) and kind.precision <= 18:
+        wide, one = T.DecimalType(38, kind.scale), 10**kind.scale
+        return lambda c: (c.cast(wide) * F.lit(one)).cast("long"), lambda c: (c.cast("decimal(20,0)").cast(wide) / F.lit(one)).cast(kind)
+    raise TypeError(f"{kind.simpleString()} has no order that a long carries")
 
 
 def round_trip(df: DataFrame, kind: str, name: str) -> DataFrame:
     """Write in another format and read back with the same schema; text holds one integer a line."""
-    spark, path = df.sparkSession, f"{scratch(df.sparkSession)}/{name}-{kind}"
+    spark, path = df.sparkSession, f"{scratch(df.sparkSession)}/{name}-{kind}-{uuid.uuid4().hex[:8]}"
     if kind == "text":
         df.select(F.col(df.columns[0]).cast("string")).write.mode("overwrite").text(path)
         return spark.read.text(path).select(F.col("value").cast("long").alias(df.columns[0]))

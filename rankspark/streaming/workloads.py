@@ -56,12 +56,13 @@ def static_join(spark: SparkSession, d: str) -> DataFrame:
 
 
 def equals_batch(spark: SparkSession, d: str) -> DataFrame:
-    """The digest of the stream's counts and that of the table: the same nodes."""
+    """The digest of the stream's counts and that of the table: the same nodes, neither with one more, and not none."""
     rows = load_table(spark, d, "events").select(cents("value").alias("v"))
     s = q.event_stream(spark, d).groupBy(cents("value").alias("idx")).agg(F.count(F.lit(1)).alias("cnt"))
     live = digest_frame.compress(q.drained(s, "equal", "complete").select(F.lit(0).alias("level"), "idx", "cnt"), "0.01", 16)
     batch = digest_frame.build(rows, "v", "0.01", 16)
-    return live.exceptAll(batch).agg((F.count(F.lit(1)) == 0).alias("same"))
+    apart = live.exceptAll(batch).unionByName(batch.exceptAll(live))
+    return apart.agg(F.count(F.lit(1)).alias("c")).join(F.broadcast(batch.agg(F.count(F.lit(1)).alias("nodes")))).select(((F.col("c") == 0) & (F.col("nodes") > 0)).alias("same"))
 
 
 def windowed_summaries(spark: SparkSession, d: str) -> DataFrame:

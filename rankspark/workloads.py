@@ -5,6 +5,7 @@ value and TRUE. Relational methods return their own answers, which the SQL repro
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 from fractions import Fraction
 
@@ -211,6 +212,22 @@ def _grouped(spark, d):
     return told.join(ranks, ["l_returnflag", "value"]).select("l_returnflag", "phi_num", "phi_den", "n", (off * 100 <= F.col("n")).alias("within_eps"))
 
 
+# ---- columns of other types, by a summary that holds every value: the answers are exact, and so are the bounds of their ranks
+
+
+def _typed(name: str, table: str, value: Callable, value_sql: str) -> None:
+    def run(spark, d):
+        return engine.typed_quantiles(load_table(spark, d, table).select(value().alias("v")), "v", GRID, "0.0000001", run=FOUR).select("phi_num", "phi_den", "value", "n", "r_lo", "r_hi")
+
+    ENTRIES[name] = (run, f"WITH q AS ({exact.quantile_sql(table, value_sql, GRID)}), x AS (SELECT {value_sql} AS v, count(*) AS c FROM {table} GROUP BY 1) SELECT phi_num, phi_den, value, n, (SELECT CAST(sum(c) AS BIGINT) FROM x WHERE v <= value) AS r_lo, (SELECT CAST(sum(c) AS BIGINT) FROM x WHERE v <= value) AS r_hi FROM q")
+
+
+_typed("typed_date_orders", "orders", lambda: F.col("o_orderdate").cast("date"), "CAST(o_orderdate AS DATE)")
+_typed("typed_timestamp_events", "events", lambda: F.col("ts"), "ts")
+_typed("typed_decimal_total", "orders", lambda: F.col("o_totalprice").cast("decimal(12,2)"), "CAST(o_totalprice AS DECIMAL(12,2))")
+_typed("typed_large_long", "orders", lambda: F.col("o_orderkey") + F.lit(1 << 60), f"o_orderkey + {1 << 60}")
+
+
 # ---- levelled buffers
 
 
@@ -412,7 +429,7 @@ def _refresh(spark, d):
     rows = column(spark, d, "price", "l_shipdate")
     spec = MethodSpec.of("gap", "0.01")
     old = engine.merge_summaries(engine.summarize(rows.where("l_shipdate < '2000-01-01'"), "v", spec, run=FOUR), nodes=4)
-    path = f"{scratch(spark)}/old-summary"
+    path = f"{scratch(spark)}/old-summary-{uuid.uuid4().hex[:8]}"
     old.write.mode("overwrite").partitionBy("method").parquet(path)
     kept = spark.read.parquet(path).select(*old.columns)
     now = engine.refresh(kept, rows.where("l_shipdate >= '2000-01-01'"), "v", spec, run=FOUR)

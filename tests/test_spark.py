@@ -14,7 +14,7 @@ from rankspark.streaming import workloads as streams
 
 DATA = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-PICKED = ["exact_quantiles_by_flag", "exact_bracket_price", "exact_range_total", "ranks_of_probes", "digest_quantiles_qty", "digest_merge_by_linenumber", "rsample_flat_exact", "rsample_capped_sensor", "gap_batch_z1", "gap_plain_qty", "digest_online_grow_chars", "example_digest_trees", "refresh_quantiles", "trim_p05_p95", "asof_pred_rank", "stream_window_quantiles"]
+PICKED = ["exact_quantiles_by_flag", "exact_bracket_price", "exact_range_total", "ranks_of_probes", "digest_quantiles_qty", "digest_merge_by_linenumber", "rsample_flat_exact", "rsample_capped_sensor", "gap_batch_z1", "gap_plain_qty", "digest_online_grow_chars", "example_digest_trees", "refresh_quantiles", "trim_p05_p95", "asof_pred_rank", "stream_window_quantiles", "stream_equals_batch", "typed_date_orders", "typed_timestamp_events", "typed_decimal_total", "typed_large_long"]
 
 
 def canon(v):
@@ -88,3 +88,34 @@ def test_library_never_collects_data():
             continue
         names = [n.func.attr for n in ast.walk(ast.parse(p.read_text())) if isinstance(n, ast.Call) and isinstance(n.func, ast.Attribute)]
         assert not {"collect", "toPandas", "localCheckpoint", "crossJoin"} & set(names), p
+
+
+def test_rows_are_dealt_by_place(spark):
+    """A value meets several partials in any order; sorted partials are sorted and cover the whole range."""
+    rows = spark.range(4000).select((F.col("id") % 5).alias("v"))
+    dealt = engine.shaped(rows, "v", ExecutionSpec(4, 8, "random")).withColumn("p", F.spark_partition_id()).groupBy("v").agg(F.count_distinct("p").alias("parts"))
+    assert {r["parts"] for r in dealt.collect()} == {4}
+    wide = spark.range(4000).select(F.pmod(F.xxhash64("id"), F.lit(100_000)).alias("v"))
+    parts = engine.shaped(wide, "v", ExecutionSpec(4, 8, "sorted")).withColumn("p", F.spark_partition_id()).groupBy("p").agg(F.min("v").alias("lo"), F.max("v").alias("hi"), F.count(F.lit(1)).alias("c")).collect()
+    assert len(parts) == 4 and sum(r["c"] for r in parts) == 4000 and all(r["lo"] < 30_000 and r["hi"] > 70_000 for r in parts)
+
+
+def test_merge_tree_of_many_partials(spark):
+    one = engine.summarize(spark.range(200, numPartitions=1), "id", MethodSpec.of("gap", "0.05"))
+    many = spark.range(5000).withColumnRenamed("id", "at").join(F.broadcast(one)).withColumn("node", F.col("at")).drop("at")
+    merged = engine.merge_summaries(many)
+    plan = merged._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("FlatMapGroupsInArrow") == 4 and engine.NODES <= 32**4  # each level divides the nodes by fan_in
+    row = merged.collect()
+    assert len(row) == 1 and row[0]["n"] == 1_000_000
+    assert all(abs(r["value"] - 200 * r["phi_num"] / 20) <= 0.05 * 200 + 1 for r in engine.answer(merged, GRID).collect())
+
+
+def test_types_without_an_order_are_refused(spark):
+    for kind in ("date", "decimal(9,2)", "timestamp"):
+        with pytest.raises(TypeError):
+            engine.summarize(spark.createDataFrame([], f"v {kind}"), "v", MethodSpec.of("gap", "0.1"))
+    with pytest.raises(TypeError):
+        engine.typed_quantiles(spark.createDataFrame([], "v string"), "v", [(1, 2)], "0.1")
+    none = engine.typed_quantiles(spark.sql("SELECT DATE '2020-01-01' AS v").where("v is null"), "v", [(1, 2)], "0.1").collect()
+    assert none[0]["value"] is None and none[0]["n"] == 0 and none[0]["r_lo"] is None
