@@ -117,5 +117,6 @@ def test_types_without_an_order_are_refused(spark):
             engine.summarize(spark.createDataFrame([], f"v {kind}"), "v", MethodSpec.of("gap", "0.1"))
     with pytest.raises(TypeError):
         engine.typed_quantiles(spark.createDataFrame([], "v string"), "v", [(1, 2)], "0.1")
-    none = engine.typed_quantiles(spark.sql("SELECT DATE '2020-01-01' AS v").where("v is null"), "v", [(1, 2)], "0.1").collect()
+    days = spark.read.parquet(f"{DATA}/orders.parquet").where("o_orderkey < 0").select(F.col("o_orderdate").cast("date").alias("v"))
+    none = engine.typed_quantiles(days, "v", [(1, 2)], "0.1").collect()
     assert none[0]["value"] is None and none[0]["n"] == 0 and none[0]["r_lo"] is None
