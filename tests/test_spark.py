@@ -118,5 +118,4 @@ def test_types_without_an_order_are_refused(spark):
     with pytest.raises(TypeError):
         engine.typed_quantiles(spark.createDataFrame([], "v string"), "v", [(1, 2)], "0.1")
     days = spark.read.parquet(f"{DATA}/orders.parquet").where("o_orderkey < 0").select(F.col("o_orderdate").cast("date").alias("v"))
-    none = engine.typed_quantiles(days, "v", [(1, 2)], "0.1").collect()
-    assert none[0]["value"] is None and none[0]["n"] == 0 and none[0]["r_lo"] is None
+    assert engine.typed_quantiles(days, "v", [(1, 2)], "0.1").collect() == []  # no rows, no summary
