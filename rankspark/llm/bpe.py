@@ -7,7 +7,8 @@ one. Every place that has once failed is remembered, so a word is done in linear
 applying all merges in order.
 
 The vocabulary is a tokenizer file of the `tokenizers` library: BPE over byte characters with an end-of-word suffix,
-normalised by NFC, white space and lower case, split by a pattern. The driver reads the file, and executors get it as a
+normalised by NFC, white space and lower case, split by a pattern. A text with characters that this Python's version of
+Unicode does not know is normalised and split by the library's own tables, which are newer; all others without it. The driver reads the file, and executors get it as a
 broadcast: its size is that of the vocabulary, whatever the input.
 
 Defined cases: null text counts as empty and has no tokens; the special tokens in a text become their ids; an empty table
@@ -42,6 +43,11 @@ def byte_characters() -> list[str]:
     return [chr(b) if b in own else chr(next(spare)) for b in range(256)]
 
 
+def unassigned(text: str) -> bool:
+    """Whether a character of `text` is unassigned in this Python's version of Unicode."""
+    return any(unicodedata.category(c) == "Cn" for c in set(text) if not c.isprintable())
+
+
 class Codec:
     def __init__(self, source: str):
         import ahocorasick
@@ -74,8 +80,11 @@ class Codec:
         self.automaton.make_automaton()
         self.shorter = {i: self._longest_beginning(t) for i, t in usable.items() if i in self.length}
         self.bytes = byte_characters()
-        pattern = next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
-        self.split = regex.compile(pattern.replace(r"[^\s", f"[^{BLANK}")).findall
+        split = next(p for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
+        self.split = regex.compile(split["pattern"]["Regex"].replace(r"[^\s", f"[^{BLANK}")).findall
+        # the file's rules for words, with an empty vocabulary
+        bare = {"model": {"type": "BPE", "vocab": {}, "merges": []}, "added_tokens": [], "pre_tokenizer": split, "post_processor": None, "decoder": None}
+        self.rules, self.library = json.dumps(spec | bare), None
         self.cut = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")").split if self.special else None
         # the offset table: all token strings in one array of bytes, with the place where each begins
         strings = [""] * (max(self.names.values()) + 1)
@@ -179,10 +188,22 @@ class Codec:
                 out.append(np.array([self.special[part]], dtype="<u4").tobytes())
                 continue
             if not part.isascii():
+                if unassigned(part):
+                    out += map(self.known.__getitem__, self.words_of_library(part))
+                    continue
                 part = unicodedata.normalize("NFC", part).replace("Σ", "σ")
             out += map(self.known.__getitem__, self.split(part.lower()))
         return b"".join(out)
 
+    def words_of_library(self, part: str) -> list[str]:
+        """The words of a text that has characters newer than this Python's Unicode. Which of them are letters, have a
+        lower case or compose is told by the library's own tables; merging stays with `word`."""
+        if self.library is None:
+            from tokenizers import Tokenizer
+
+            self.library = Tokenizer.from_str(self.rules)
+        return [w for w, _ in self.library.pre_tokenizer.pre_tokenize_str(self.library.normalizer.normalize_str(part))]
+
     # ---- decoding
 
     def decode(self, ids: np.ndarray) -> bytes:

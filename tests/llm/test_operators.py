@@ -77,6 +77,7 @@ def test_bpe_equals_library():
     texts = ["", " ", "a<|endoftext|>b", "x</w>y <|startoftext|>", "Don't we'LL 'S", "ΣΑΣ Σ", "İstanbul ẞ", "日本語 한국어", "a" * 700, "👩‍👧 ½²³ ４５", "\x00\x85​", "…—“”" * 9]
     texts += ["".join(rnd.choice("etaoinshrdlu"[: rnd.choice([3, 12])]) for _ in range(rnd.randint(1, 30))) for _ in range(1500)]
     texts += ["".join(chr(rnd.choice([rnd.randint(32, 127), rnd.randint(128, 1000), rnd.randint(0x3000, 0x9000)])) for _ in range(9)) for _ in range(500)]
+    texts += [f"a{chr(c)}b{chr(c)}\u0307 {chr(c)}1" for c in [0x558, 0x88F, 0x1C89, 0x1C8A, 0x209D, 0xA7CB, 0xA7DC, 0xA7DD, 0x105C9, 0x105D2, 0x10940, 0x10D50, 0x113C2, *range(0x700, 0x11000, 97)] if not 0xD800 <= c < 0xE000]
     for t in texts:
         want = told.encode(t, add_special_tokens=False).ids
         got = np.frombuffer(codec.encode(t), dtype="<u4")
