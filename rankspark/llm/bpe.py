@@ -231,15 +231,9 @@ class _Known(dict):
         return got
 
 
-_CODECS: dict[str, Codec] = {}
-
-
 def codec_of(shared) -> Codec:
     """One codec for each worker process and broadcast."""
-    if shared.id not in _CODECS:
-        _CODECS.clear()
-        _CODECS[shared.id] = Codec(shared.value)
-    return _CODECS[shared.id]
+    return common.held(f"bpe {shared.id}", lambda: Codec(shared.value))
 
 
 class _Shared:
@@ -266,7 +260,7 @@ def encoded(docs: DataFrame, path: str, keep: list[str] | None = None, with_ids:
 
     def run(batches: Iterator[pa.RecordBatch]):
         codec = codec_of(shared)
-        for b in common.slices(batches):
+        for b in common.slices(batches, owner=f"bpe {shared.id}"):
             out = []
             for text in b.column(b.num_columns - 1).to_pylist():
                 coded = codec.encode(text)

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -43,7 +45,32 @@ def stored(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def slices(batches: Iterator[pa.RecordBatch], rows: int = SLICE_ROWS) -> Iterator[pa.RecordBatch]:
+#: What a worker process keeps from one task to the next: of one owner at a time.
+_HELD: dict[str, object] = {}
+
+
+def held(owner: str, make: Callable):
+    """What `make` returned in this worker for `owner`, made anew where another owner came between."""
+    if owner not in _HELD:
+        release()
+        _HELD[owner] = make()
+    return _HELD[owner]
+
+
+def release() -> None:
+    """Forget what the worker keeps and give its memory back; workers live on from one operator to the next."""
+    if _HELD:
+        _HELD.clear()
+        gc.collect()
+        trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # of glibc only
+        if trim is not None:
+            trim(0)
+
+
+def slices(batches: Iterator[pa.RecordBatch], rows: int = SLICE_ROWS, owner: str | None = None) -> Iterator[pa.RecordBatch]:
+    """Batches of at most `rows` rows. What the worker keeps for another owner than this is released first."""
+    if owner not in _HELD:
+        release()
     for batch in batches:
         for at in range(0, batch.num_rows, rows):
             yield batch.slice(at, rows)

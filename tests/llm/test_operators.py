@@ -6,10 +6,11 @@ import zlib
 
 import duckdb
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from rankspark.llm import ann, bpe, chat, decontamination, gbdt, langid, licenses, neardup, quality, queries, sharding, toxicity
+from rankspark.llm import ann, bpe, chat, common, decontamination, gbdt, langid, licenses, neardup, quality, queries, sharding, toxicity
 from rankspark.llm.common import table
 
 DATA, MIDDLE = "/root/testdata/sf0.001", "/root/testdata/sf0.01"
@@ -84,6 +85,15 @@ def test_bpe_equals_library():
         assert got.tolist() == want and codec.decode(got).decode() == told.decode(want, skip_special_tokens=False)
 
 
+def test_worker_keeps_one_owner():
+    batch = pa.record_batch({"x": [1, 2, 3]})
+    first = common.held("a", lambda: [1])
+    assert common.held("a", lambda: [2]) is first and [b.num_rows for b in common.slices(iter([batch]), 2, "a")] == [2, 1]
+    assert common.held("a", lambda: [3]) is first
+    assert [b.num_rows for b in common.slices(iter([batch]), 2)] == [2, 1]
+    assert common.held("a", lambda: [4]) == [4] and common.held("b", lambda: [5]) == [5] and common.held("a", lambda: [6]) == [6]
+
+
 def test_bpe_query_digests(spark):
     from tokenizers import Tokenizer
 
