@@ -6,7 +6,6 @@ documents. `run` writes what a stage returns to the shared folder and reads it b
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from rankspark import shipping
 from rankspark.llm import bpe, decontamination, langid, neardup, quality
@@ -18,8 +17,8 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the language model takes for one of its languages."""
     shipping.ensure(spark)
-    tagged = langid.predict(docs.withColumn("__all", F.struct(*COLUMNS)), langid.train(docs), ["__all"])
-    return tagged.where("accepted").select("__all.*")
+    tagged = langid.predict(docs, langid.train(docs), COLUMNS)
+    return tagged.where("accepted").select(*COLUMNS)
 
 
 def good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -160,15 +160,17 @@ def train(docs: DataFrame, per_language: int = 600, folds: int = 3, held: int =
 
 
 def predict(docs: DataFrame, model: Model, keep: list[str] | None = None) -> DataFrame:
-    """lang_pred, score and accepted beside the columns `keep` (default: doc_id) of each row. One pass, no shuffle."""
+    """lang_pred, score and accepted beside the columns `keep` (default: doc_id) of each row. One pass, no shuffle; a
+    text that is kept travels once."""
     keep = ["doc_id"] if keep is None else keep
-    kept = docs.select(*keep, F.col("text").alias("__text"))
+    n, at = len(keep), keep.index("text") if "text" in keep else len(keep)
+    kept = docs.select(*keep, *[F.col("text").alias("__text")][: at == n])
 
     def run(batches):
         for b in common.slices(batches):
-            out = [model.predict(t) for t in b.column(b.num_columns - 1).to_pylist()]
+            out = [model.predict(t) for t in b.column(at).to_pylist()]
             cols = [pa.array([r[i] for r in out], kind) for i, kind in enumerate((pa.string(), pa.float64(), pa.bool_()))]
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], *cols], [*b.schema.names[:-1], "lang_pred", "score", "accepted"])
+            yield pa.RecordBatch.from_arrays([*b.columns[:n], *cols], [*b.schema.names[:n], "lang_pred", "score", "accepted"])
 
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema[:-1])
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema[:n])
     return kept.mapInArrow(run, f"{fields}, lang_pred string, score double, accepted boolean")

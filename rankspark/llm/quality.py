@@ -63,12 +63,14 @@ def score(docs: DataFrame, labels: DataFrame, sample_rows: int = 16_000, trained
 
 
 def rated(docs: DataFrame, model: gbdt.Trees, keep: list[str], cut: float = 0.3) -> DataFrame:
-    """score and predicted beside the columns `keep` of each row."""
-    kept = docs.select(F.struct(*keep).alias("row"), F.col("text").alias("__text"))
+    """score and predicted beside the columns `keep` of each row. A text that is kept travels once."""
+    within = "text" in keep
+    kept = docs.select(F.struct(*keep).alias("row"), *[F.col("text").alias("__text")][within:])
 
     def run(batches):
         for b in common.slices(batches):
-            x = np.array([features(t) for t in b.column(1).to_pylist()], dtype=np.float64).reshape(b.num_rows, WIDTH)
+            texts = b.column(0).field("text") if within else b.column(1)
+            x = np.array([features(t) for t in texts.to_pylist()], dtype=np.float64).reshape(b.num_rows, WIDTH)
             p = model.probability(x)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(p), pa.array((p >= cut).astype(np.int32))], ["row", "score", "predicted"])
 
