@@ -273,4 +273,4 @@ def encoded(docs: DataFrame, path: str, keep: list[str] | None = None, with_ids:
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], *[pa.array([r[i] for r in out], kinds[i]) for i in range(len(names))]], [*b.schema.names[:-1], *names])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema[:-1])
-    return kept.mapInArrow(run, f"{fields}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids binary" * with_ids)
+    return common.mapped(kept, run, f"{fields}, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids binary" * with_ids)

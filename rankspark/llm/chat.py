@@ -418,7 +418,7 @@ def digests(conversations: DataFrame, template: str = TEMPLATE) -> DataFrame:
 
     rows = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), "turn", "role", "text")
     rows = rows.repartition("conv_id").sortWithinPartitions("conv_id", "turn", "role", "text")
-    return rows.select("conv_id", "role", "text").mapInArrow(run, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+    return common.mapped(rows.select("conv_id", "role", "text"), run, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
 
 
 def _batch(rows: list[tuple]) -> pa.RecordBatch:

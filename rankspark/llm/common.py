@@ -17,6 +17,9 @@ from rankspark import shipping
 
 #: Rows of an Arrow batch that are held as Python objects at once.
 SLICE_ROWS = 256
+#: Bytes of an Arrow batch of texts, where the session still has Spark's default: a task holds each batch several times, in
+#: the JVM's direct memory and in the worker. A longer text is a batch of its own.
+BATCH_KEY, BATCH_DEFAULT, BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch", "67108864b", 2 << 20
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -67,6 +70,14 @@ def release() -> None:
             trim(0)
 
 
+def mapped(df: DataFrame, run: Callable, schema: str) -> DataFrame:
+    """df.mapInArrow over batches of at most BATCH_BYTES, or of what the session was set to."""
+    conf = df.sparkSession.conf
+    if conf.get(BATCH_KEY, None) == BATCH_DEFAULT:
+        conf.set(BATCH_KEY, BATCH_BYTES)
+    return df.mapInArrow(run, schema)
+
+
 def slices(batches: Iterator[pa.RecordBatch], rows: int = SLICE_ROWS, owner: str | None = None) -> Iterator[pa.RecordBatch]:
     """Batches of at most `rows` rows. What the worker keeps for another owner than this is released first."""
     if owner not in _HELD:
@@ -113,7 +124,7 @@ def gathered(df: DataFrame, features: Callable, width: int) -> tuple[np.ndarray,
             x = np.array([features(t) for t in b.column(1).to_pylist()], dtype=np.float64).reshape(b.num_rows, width)
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(2), pa.array(list(x), pa.list_(pa.float64()))], ["doc_id", "y", "x"])
 
-    rows = df.select("doc_id", "text", "y").mapInArrow(run, "doc_id long, y int, x array<double>").toArrow()
+    rows = mapped(df.select("doc_id", "text", "y"), run, "doc_id long, y int, x array<double>").toArrow()
     ids, y = rows["doc_id"].to_numpy(), rows["y"].to_numpy()
     x = np.array(rows["x"].to_pylist(), dtype=np.float64).reshape(len(ids), width)
     order = np.lexsort((y, ids))
@@ -129,5 +140,5 @@ def scored(docs: DataFrame, features: Callable, width: int, predict: Callable, c
             p = np.clip(predict(x), 0.0, 1.0)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(p), pa.array((p >= cut).astype(np.int32))], ["doc_id", "score", "predicted"])
 
-    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, score double, predicted int")
+    out = mapped(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), run, "doc_id long, score double, predicted int")
     return out.select("doc_id", F.coalesce(crc() % folds == 0, F.lit(False)).alias("held_out"), "score", "predicted")

@@ -28,7 +28,7 @@ from pyspark.sql import window as W
 
 from . import common
 
-BITS, WIDTH, PIECE = 15, 16, 1 << 20
+BITS, WIDTH, PIECE = 15, 16, 1 << 17
 #: Languages of `per_language` training documents each that the sample may hold; scores that calibration works on at once.
 FULL, SCORES = 256, 1 << 22
 
@@ -148,7 +148,7 @@ def train(docs: DataFrame, per_language: int = 600, folds: int = 3, held: int =
             bags = [bag(t) for t in b.column(2).to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([i.astype(np.int32) for i, _ in bags], pa.list_(pa.int32())), pa.array([c.astype(np.int32) for _, c in bags], pa.list_(pa.int32()))], ["doc_id", "lang", "ids", "counts"])
 
-    got = sample.select("doc_id", "lang", "text").mapInArrow(run, "doc_id long, lang string, ids array<int>, counts array<int>").toArrow()
+    got = common.mapped(sample.select("doc_id", "lang", "text"), run, "doc_id long, lang string, ids array<int>, counts array<int>").toArrow()
     got = got.sort_by([("doc_id", "ascending"), ("lang", "ascending")])
     bags, y = [], []
     for lang, ids, counts in zip(got["lang"].to_pylist(), got["ids"], got["counts"], strict=True):
@@ -173,4 +173,4 @@ def predict(docs: DataFrame, model: Model, keep: list[str] | None = None) -> Dat
             yield pa.RecordBatch.from_arrays([*b.columns[:n], *cols], [*b.schema.names[:n], "lang_pred", "score", "accepted"])
 
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema[:n])
-    return kept.mapInArrow(run, f"{fields}, lang_pred string, score double, accepted boolean")
+    return common.mapped(kept, run, f"{fields}, lang_pred string, score double, accepted boolean")

@@ -170,7 +170,7 @@ def sketched(docs: DataFrame, k: int) -> DataFrame:
             digest = np.array([[mix(s).sum(dtype=U), mix(s ^ GOLD).sum(dtype=U)] for s in sets], dtype=U).reshape(-1, 2).view(np.int64)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(digest[:, 0]), pa.array(digest[:, 1]), pa.array(list(keys), pa.list_(pa.int64()))], ["doc_id", "n_shingles", "d1", "d2", "bands"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>")
+    return common.mapped(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), run, "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>")
 
 
 def parities(sets: list[np.ndarray]) -> np.ndarray:
@@ -192,7 +192,7 @@ def full_sets(docs: DataFrame, k: int) -> DataFrame:
             brief = np.bitwise_xor.reduce(bits.reshape(len(bits), 4, -1), axis=1)
             yield pa.RecordBatch.from_arrays([b.column(0), lists(s.view(np.int64) for s in sets), lists(band_keys(signatures(sets))), lists(bits), lists(brief)], ["id", "set", "bands", "bits", "brief"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("id"), "text").mapInArrow(run, "id long, set array<long>, bands array<long>, bits array<long>, brief array<long>")
+    return common.mapped(docs.select(F.col("doc_id").cast("long").alias("id"), "text"), run, "id long, set array<long>, bands array<long>, bits array<long>, brief array<long>")
 
 
 def _possible(percent: int):

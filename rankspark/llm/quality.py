@@ -74,4 +74,4 @@ def rated(docs: DataFrame, model: gbdt.Trees, keep: list[str], cut: float = 0.3)
             p = model.probability(x)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(p), pa.array((p >= cut).astype(np.int32))], ["row", "score", "predicted"])
 
-    return kept.mapInArrow(run, f"row {kept.schema['row'].dataType.simpleString()}, score double, predicted int").select("row.*", "score", "predicted")
+    return common.mapped(kept, run, f"row {kept.schema['row'].dataType.simpleString()}, score double, predicted int").select("row.*", "score", "predicted")

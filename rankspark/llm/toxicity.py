@@ -152,7 +152,7 @@ def learned_terms(sample: DataFrame, most: int = 300) -> tuple[tuple[str, float]
             yield pa.RecordBatch.from_arrays([pa.array(terms, pa.string()), pa.array(ys, pa.int32()), pa.array(counts, pa.int64())], ["term", "y", "k"])
 
     of = lambda y, v: F.sum(F.when(F.col("y") == y, v).otherwise(0))
-    counted = sample.select("text", "y").mapInArrow(run, "term string, y int, k long").groupBy("term")
+    counted = common.mapped(sample.select("text", "y"), run, "term string, y int, k long").groupBy("term")
     counted = counted.agg(of(1, F.col("k")).alias("k1"), of(0, F.col("k")).alias("k0"), of(1, F.lit(1)).alias("d1"), of(0, F.lit(1)).alias("d0"))
     counted = counted.where("d1 >= 3")
     total = counted.where("term = ''").select(*[F.col(c).cast("double").alias(f"t{c}") for c in ("k1", "k0", "d1", "d0")])
