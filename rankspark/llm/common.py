@@ -73,7 +73,7 @@ def release() -> None:
 def mapped(df: DataFrame, run: Callable, schema: str) -> DataFrame:
     """df.mapInArrow over batches of at most BATCH_BYTES, or of what the session was set to."""
     conf = df.sparkSession.conf
-    if conf.get(BATCH_KEY, None) == BATCH_DEFAULT:
+    if conf.get(BATCH_KEY, BATCH_DEFAULT) == BATCH_DEFAULT:
         conf.set(BATCH_KEY, BATCH_BYTES)
     return df.mapInArrow(run, schema)
 
