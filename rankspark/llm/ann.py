@@ -1,10 +1,13 @@
 """Approximate nearest neighbours: an inverted file of coarse centroids with product-quantised residuals.
 
 Fitted on a bounded sample of vectors (`sample_rows`): k-means gives the coarse lists, k-means on each part of the
-residuals gives the codebooks, and the number of lists that a query probes is the least that reaches `reach` of the
-true neighbours inside the sample. Every vector is then indexed. A query meets the cells of its lists: distances to
-the codes come from its table of distances to the codewords (asymmetric), the best `rerank` of each cell are measured
-exactly on the original vectors, and the nearest of all cells win.
+residuals gives the codebooks. Every vector is then indexed. The number of lists that a query probes is the least that
+reaches `reach` of the true neighbours of at most MEASURED queries, which one pass finds among all rows by brute force.
+A query meets the cells of its lists: distances to the codes come from its table of distances to the codewords
+(asymmetric), and the best `rerank` of each cell are measured exactly on the original vectors. A row is no further from
+its code than its coding error, so every other row that this bound leaves below the k-th of them is measured too: codes
+too coarse for a tight group, or for the small ones of vectors of many scales, cost time and lose nothing. The nearest of
+all cells win.
 
 A cell is a salted part of a list of about CELL_ROWS vectors met by a block of at most QUERY_ROWS queries, so a list
 that holds a third of all vectors, or that all queries probe, is spread over many tasks.
@@ -26,6 +29,8 @@ from pyspark.sql import window as W
 from . import common
 
 CELL_ROWS, QUERY_ROWS, MOST_LISTS = 8192, 512, 4096
+#: Queries whose true neighbours are found by brute force, for the number of lists to probe.
+MEASURED = 256
 
 
 def usable(vectors: DataFrame) -> DataFrame:
@@ -73,6 +78,11 @@ class Index:
         r = self.split(x - self.coarse[at])
         return at, np.stack([nearest(r[:, p], self.books[p]) for p in range(len(self.books))], axis=1).astype(np.uint8)
 
+    def decode(self, at: int, codes: np.ndarray) -> np.ndarray:
+        """What the codes of one list stand for."""
+        parts = self.books[np.arange(len(self.books))[None, :], codes]
+        return self.coarse[at] + parts.reshape(len(codes), -1)[:, : self.dim]
+
     def probed(self, q: np.ndarray) -> np.ndarray:
         return np.argsort(squares(q, self.coarse), axis=1, kind="stable")[:, : self.probes]
 
@@ -82,8 +92,8 @@ class Index:
         return ((r[:, :, None, :] - self.books[None]) ** 2).sum(axis=3)
 
 
-def train(rows: DataFrame, k: int = 10, sample_rows: int = 16_000, parts: int = 16, reach: float = 0.985, seed: int = 5) -> Index | None:
-    """From the rows with the smallest hashes of their ids. The number of lists follows the number of rows."""
+def train(rows: DataFrame, sample_rows: int = 16_000, parts: int = 16, seed: int = 5) -> Index | None:
+    """From the rows with the smallest hashes of their ids. The number of lists follows the number of rows; all are probed until `depth` is told."""
     n = rows.count()
     picked = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample_rows).toArrow().sort_by("vec_id")["v"].to_pylist()
     if not picked:
@@ -99,14 +109,6 @@ def train(rows: DataFrame, k: int = 10, sample_rows: int = 16_000, parts: int =
     index = Index(dim, coarse, np.zeros((parts, 1, width)), len(coarse))
     r = index.split(x - coarse[nearest(x, coarse)])
     index.books = np.stack([_filled(kmeans(r[:, p], 256, 6, rng), 256) for p in range(parts)])
-    # how far down the order of lists the true neighbours lie, for some queries of the sample
-    q = x[rng.choice(len(x), min(256, len(x)), replace=False)]
-    d = squares(q, x)
-    true = np.argpartition(d, min(k, len(x) - 1), axis=1)[:, : k + 1]
-    place = np.empty((len(q), len(coarse)), dtype=np.int64)
-    np.put_along_axis(place, np.argsort(squares(q, coarse), axis=1), np.arange(len(coarse))[None, :], axis=1)
-    depth = np.sort(np.take_along_axis(place, nearest(x, coarse)[true], axis=1).ravel())
-    index.probes = int(min(len(coarse), 1 + depth[min(len(depth) - 1, int(np.ceil(reach * len(depth))))]))
     return index
 
 
@@ -132,6 +134,39 @@ def indexed(rows: DataFrame, index: Index) -> DataFrame:
     return rows.where(F.size("v") == index.dim).mapInArrow(run, "vec_id long, list int, codes binary, v array<double>")
 
 
+def depth(base: DataFrame, queries: DataFrame, index: Index, k: int, reach: float = 0.985) -> int:
+    """How many lists to probe: the least that hold `reach` of the k nearest rows of at most MEASURED queries among all of `base`."""
+    picked = queries.where(F.size("v") == index.dim).orderBy(F.xxhash64("vec_id"), "vec_id").limit(MEASURED).select("vec_id", "v").toArrow()
+    if not picked.num_rows:
+        return 1
+    ids, q = picked["vec_id"].to_numpy(), _matrix(picked["v"])
+
+    def run(batches):
+        """The k nearest rows of a partition for each query."""
+        best = None
+        for b in common.slices(batches, 4096):
+            d = squares(q - q[0], _matrix(b.column(3)) - q[0])
+            own, at = b.column(0).to_numpy(), np.broadcast_to(b.column(1).to_numpy(), d.shape)
+            d = np.where(ids[:, None] == own[None, :], np.inf, d)
+            d, at = (d, at) if best is None else (np.concatenate([best[0], d], axis=1), np.concatenate([best[1], at], axis=1))
+            if d.shape[1] > k:
+                first = np.argpartition(d, k - 1, axis=1)[:, :k]
+                d, at = np.take_along_axis(d, first, axis=1), np.take_along_axis(at, first, axis=1)
+            best = d, at
+        if best is not None:
+            place = np.repeat(np.arange(len(q)), best[0].shape[1])
+            yield pa.RecordBatch.from_arrays([pa.array(place), pa.array(best[1].ravel(), pa.int32()), pa.array(best[0].ravel())], ["place", "list", "d"])
+
+    found = base.mapInArrow(run, "place long, list int, d double").where(F.col("d") < float("inf"))
+    order = W.Window.partitionBy("place").orderBy("d")
+    true = found.withColumn("r", F.row_number().over(order)).where(F.col("r") <= k).select("place", "list").toArrow()
+    if not true.num_rows:
+        return 1
+    lists = np.argsort(np.argsort(squares(q, index.coarse), axis=1, kind="stable"), axis=1)
+    down = np.sort(lists[true["place"].to_numpy(), true["list"].to_numpy()])
+    return int(1 + down[min(len(down) - 1, int(np.ceil(reach * len(down))))])
+
+
 def probing(queries: DataFrame, index: Index) -> DataFrame:
     """query_id, list, q: a row for each list that a query probes."""
 
@@ -155,10 +190,11 @@ def search(vectors: DataFrame, is_query, k: int = 10, sample_rows: int = 16_000,
     """query_id, rank, vec_id, score: the k nearest found for each row where `is_query` holds, all rows searched."""
     schema = "query_id long, vec_id long, score double"
     rows = usable(vectors)
-    index = index or train(rows, k, sample_rows)
+    index = index or train(rows, sample_rows)
     if index is None:
         return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score double")
     base = common.stored(indexed(rows, index), "index")
+    index.probes = depth(base, rows.where(is_query), index, k)
     asked = common.stored(probing(rows.where(is_query), index), "queries")
     held = {r["list"]: r["n"] for r in base.groupBy("list").agg(F.count(F.lit(1)).alias("n")).collect()}  # at most MOST_LISTS rows
     met = {r["list"]: r["n"] for r in asked.groupBy("list").agg(F.count(F.lit(1)).alias("n")).collect()}
@@ -174,16 +210,26 @@ def search(vectors: DataFrame, is_query, k: int = 10, sample_rows: int = 16_000,
             ids, x = left["vec_id"].to_numpy(), _matrix(left["v"])
             codes = np.frombuffer(b"".join(left["codes"].to_pylist()), dtype=np.uint8).reshape(len(ids), -1)
             qs, qids, place = _matrix(right["q"]), right["query_id"].to_numpy(), int(left["list"][0].as_py())
+            far = x - index.decode(place, codes)
+            wrong = np.sqrt((far * far).sum(axis=1))  # of the codes
+            near, own = x - index.coarse[place], qs - index.coarse[place]
+            sizes, most = (near * near).sum(axis=1), (own * own).sum(axis=1)
             flat = codes.astype(np.int64) + np.arange(codes.shape[1]) * 256
             for at in range(0, len(qs), 64):
                 table = index.tables(qs[at : at + 64], place).reshape(len(qs[at : at + 64]), -1)
-                for q, qid, t in zip(qs[at : at + 64], qids[at : at + 64], table, strict=True):
+                rough = sizes - 2 * own[at : at + 64] @ near.T + most[at : at + 64, None]  # squared distances, up to rounding
+                for q, qid, t, squared, big in zip(qs[at : at + 64], qids[at : at + 64], table, rough, most[at : at + 64], strict=True):
                     about = t[flat].sum(axis=1)
                     best = np.arange(len(ids))
                     if len(ids) > rerank + 1:  # ties at the border go to the smaller ids, which come first
                         border = np.partition(about, rerank)[rerank]
                         under, level = np.flatnonzero(about < border), np.flatnonzero(about == border)
                         best = np.concatenate([under, level[: rerank + 1 - len(under)]])
+                        d = np.sqrt(((x[best] - q) ** 2).sum(axis=1))
+                        last = np.partition(d, min(k, len(d) - 1))[min(k, len(d) - 1)]  # one more than k, for the query's own row
+                        bound = last + 1e-7 * (last + big**0.5)
+                        open_ = (np.sqrt(about) - wrong <= bound + 1e-7 * wrong) & (squared <= bound * bound + 1e-9 * (sizes + big))
+                        best = np.union1d(best, np.flatnonzero(open_))
                     best = best[ids[best] != qid]
                     d = np.sqrt(((x[best] - q) ** 2).sum(axis=1))
                     first = np.lexsort((ids[best], d))[:k]

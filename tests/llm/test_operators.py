@@ -192,6 +192,25 @@ def test_neighbours_recall(spark):
     assert found / total >= 0.9
 
 
+def test_neighbours_of_groups_finer_than_the_codes(spark):
+    """Queries lie in a group far tighter than the codebooks tell apart, and among vectors of many scales."""
+    rng = np.random.default_rng(4)
+    ids, wide = np.arange(6000), rng.normal(size=(6000, 24))
+    tight = np.where(ids[:, None] % 10 == 0, 3 + 1e-4 * wide, 5 * rng.normal(size=(6000, 24)))
+    scales = wide * 10.0 ** rng.uniform(-10, 10, size=(6000, 1))
+    for x in (tight, scales):
+        data = spark.createDataFrame([(int(i), v.tolist()) for i, v in zip(ids, x, strict=True)], "vec_id long, embedding array<double>")
+        got = {}
+        for r in ann.search(data, F.col("vec_id") % 100 == 0).collect():
+            got.setdefault(r["query_id"], set()).add(r["vec_id"])
+        found = 0
+        for q in ids[::100]:
+            d = np.sqrt(((x - x[q]) ** 2).sum(axis=1))
+            d[q] = np.inf
+            found += len(set(np.lexsort((ids, d))[:10].tolist()) & got[int(q)])
+        assert found / 600 >= 0.95
+
+
 def test_neighbours_odd_vectors(spark):
     rows = [(0, [1.0, 0.0]), (1, None), (2, [0.0, 0.0]), (3, [None, 1.0]), (4, [float("nan"), 1.0]), (5, [float("inf"), 1.0]), (6, [1.0, 0.0]), (7, [1.0, 0.0]), (8, [0.0, 2.0]), (None, [1.0, 1.0]), (9, [1.0])]
     got = ann.search(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), F.col("vec_id") % 100 == 0, 10)
