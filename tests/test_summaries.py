@@ -170,3 +170,39 @@ def test_rank_sample_with_estimated_ranks_holds_only_its_sample():
     ordered = np.sort(data)
     off = [abs(np.searchsorted(ordered, v) - a * len(data) // b) for (a, b), v in zip(GRID, s.query(GRID), strict=True)]
     assert np.mean(off) < 0.12 * len(data)  # a sample of about 200: sqrt(200) ranks of 2,000 values each
+
+
+@pytest.mark.parametrize("eps", ["0.1", "0.01", "0.001"])
+def test_mixed_insertion_in_batches_is_that_item_by_item(eps, monkeypatch):
+    data = np.random.default_rng(6).integers(0, 1 << 20, 9000)
+    orders = {"random": data, "sorted": np.sort(data), "reversed": np.sort(data)[::-1], "few": data % 7, "walk": np.cumsum(data % 100 - 40), "floats": data / 3}
+    alone = {}
+    for name, x in orders.items():
+        alone[name] = GapSummary(eps, mode="mixed")
+        for v in x.tolist():
+            alone[name].absorb_one(v)
+    calls, one = [], GapSummary.absorb_one
+    monkeypatch.setattr(GapSummary, "absorb_one", lambda self, v: (calls.append(v), one(self, v)))
+    for name, x in orders.items():
+        s = GapSummary(eps, mode="mixed")
+        for at in range(0, len(x), 2000):
+            s.absorb(x[at : at + 2000])
+        assert s.n == alone[name].n and s.tuples() == alone[name].tuples(), name
+    assert len(calls) <= 64 * len(orders)
+
+
+@pytest.mark.parametrize("eps", ["0.1", "0.001"])
+def test_online_digest_sinks_batches(eps, monkeypatch):
+    from rankspark.synopsis.dyadic import OnlineDigest
+
+    opened, open_ = [], OnlineDigest._open
+    monkeypatch.setattr(OnlineDigest, "_open", lambda self: (opened.append(1), open_(self))[1])
+    data = np.random.default_rng(7).integers(0, 1 << 20, 120_000)
+    for x in (data, np.sort(data), data % 50):
+        s = OnlineDigest(eps)
+        for at in range(0, len(x), 5000):
+            s.absorb(x[at : at + 5000])
+        s.end_chunk()
+        assert s.n == len(x) == s.count.sum() and properties(s)[0]
+        assert max(local.rank_errors(x, GRID, s.query(GRID))) <= float(eps)
+    assert len(opened) <= 3 * 20_000

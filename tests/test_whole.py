@@ -93,3 +93,14 @@ def test_windowed_summaries_hold_the_last_windows(spark):
     rows = driver.queries()["stream_windowed_summaries"](spark, DATA).collect()
     told = duckdb.sql(f"select strftime(ts, '%Y-%m-%d'), count(value) from '{DATA}/events.parquet' group by 1").fetchall()
     assert sorted((r["start"].strftime("%Y-%m-%d"), r["n"]) for r in rows) == sorted(told)
+
+
+def test_grids_deal_rows_once_for_all_methods(spark, monkeypatch):
+    from rankspark import engine, workloads
+
+    deals, shaped = [], engine.shaped
+    monkeypatch.setattr(engine, "shaped", lambda *a: (deals.append(1), shaped(*a))[1])
+    rows = workloads.error_grid(spark, DATA, list(workloads.GRID_METHODS), ["0.1", "0.01"], ["z0"], ["random"], [2, 4]).collect()
+    assert len(rows) == 24 and len(deals) == 2 and all(r["violations"] == 0 for r in rows if r["method"] in workloads.DETERMINISTIC)
+    sizes = workloads.size_grid(spark, DATA, list(workloads.GRID_METHODS), "0.01", ["z0"], ["random"], [2, 4]).collect()
+    assert len(sizes) == 12 and len(deals) == 4 and {(r["parts"], r["summaries"]) for r in sizes} == {(2, 2), (4, 4)}
