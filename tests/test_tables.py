@@ -26,7 +26,7 @@ def many_orders(spark, tmp_path_factory):
     return folder
 
 
-LOSSLESS = ["gap_lossless"]
+LOSSLESS = ["gap_lossless", "levels_lossless_price"]
 
 
 @pytest.mark.parametrize("name", LOSSLESS)
