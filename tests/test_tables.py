@@ -34,7 +34,7 @@ def test_lossless_past_a_million_rows(spark, many_orders, name):
     equals_sql(spark, name, many_orders, "orders")
 
 
-READING = ["example_digest_trees", "example_exact", "example_gap_merge_bound", "example_gap_trace", "example_rsample_ranks", "levels_params"]
+READING = ["example_digest_trees", "example_exact", "example_gap_merge_bound", "example_gap_trace", "example_rsample_ranks", "levels_params", "theory_costs"]
 
 
 @pytest.mark.parametrize("name", READING)
