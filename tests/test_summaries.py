@@ -206,3 +206,24 @@ def test_online_digest_sinks_batches(eps, monkeypatch):
         assert s.n == len(x) == s.count.sum() and properties(s)[0]
         assert max(local.rank_errors(x, GRID, s.query(GRID))) <= float(eps)
     assert len(opened) <= 3 * 20_000
+
+
+@pytest.mark.parametrize("eps", ["0.05", "0.01", "0.001"])
+def test_mixed_insertion_of_increasing_items_cuts_runs_by_number(eps):
+    import sys
+
+    rng, steps = np.random.default_rng(7), [0]
+    data = np.sort(rng.integers(0, 1 << 20, 40_000))
+    whole, single = GapSummary(eps, mode="mixed"), GapSummary(eps, mode="mixed")
+    for v in data.tolist():
+        single.absorb_one(v)
+
+    def count(frame, event, arg):
+        steps[0] += event == "line"
+        return count if frame.f_code.co_name in ("absorb", "_absorb_mixed", "_append_run") else None
+
+    sys.settrace(count)
+    whole.absorb(data)
+    sys.settrace(None)
+    assert whole.pack() == single.pack() and check_invariants(whole, data)
+    assert steps[0] < 3 * len(data)  # lines run; cutting them item by item takes eight for each
