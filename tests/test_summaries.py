@@ -227,3 +227,23 @@ def test_mixed_insertion_of_increasing_items_cuts_runs_by_number(eps):
     sys.settrace(None)
     assert whole.pack() == single.pack() and check_invariants(whole, data)
     assert steps[0] < 3 * len(data)  # lines run; cutting them item by item takes eight for each
+
+
+@pytest.mark.parametrize(("eps", "power"), [("0.05", 1), ("0.001", 1), ("0.0005", 3)])
+def test_online_digest_keeps_counters_in_arrays(eps, power, monkeypatch):
+    from rankspark.synopsis.dyadic import OnlineDigest
+
+    rng = np.random.default_rng(3)
+    data = (rng.random(700_000) ** power * (1 << 18)).astype(np.int64)
+    arrays, sparse = OnlineDigest(eps), OnlineDigest(eps)
+    sparse.DENSE_BITS = 0
+    seen = set()
+    for at in range(0, len(data), 131_072):
+        for d in (arrays, sparse):
+            d.absorb(data[at : at + 131_072])
+        seen.add(arrays._dense is not None)
+    assert True in seen and sparse._dense is None
+    assert arrays.nodes() == sparse.nodes() and arrays.count.sum() == len(data) and properties(arrays)[0]
+    merged = synopsis.unpack(arrays.pack())
+    merged.merge(synopsis.unpack(sparse.pack()))
+    assert merged.n == 2 * len(data) == merged.count.sum()
