@@ -104,3 +104,38 @@ def test_grids_deal_rows_once_for_all_methods(spark, monkeypatch):
     assert len(rows) == 24 and len(deals) == 2 and all(r["violations"] == 0 for r in rows if r["method"] in workloads.DETERMINISTIC)
     sizes = workloads.size_grid(spark, DATA, list(workloads.GRID_METHODS), "0.01", ["z0"], ["random"], [2, 4]).collect()
     assert len(sizes) == 12 and len(deals) == 4 and {(r["parts"], r["summaries"]) for r in sizes} == {(2, 2), (4, 4)}
+
+
+def test_grids_pack_rows_once_for_all_partials(spark, monkeypatch):
+    from rankspark import engine, workloads
+
+    packs, pack = [], engine.pack
+    monkeypatch.setattr(engine, "pack", lambda *a: (packs.append(a[3]), pack(*a))[1])
+    before = spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch")
+    rows = workloads.error_grid(spark, DATA, ["gap.mixed"], ["0.01"], ["z0"], ["sorted", "random"], [1, 2, 4]).collect()
+    assert sorted(packs) == ["random", "sorted"] and len(rows) == 6 and not sum(r["violations"] for r in rows)
+    sizes = workloads.size_grid(spark, DATA, ["digest.online", "gap"], "0.01", ["z0"], ["random"], [1, 2, 4]).collect()
+    assert len(packs) == 3 and {(r["parts"], r["summaries"]) for r in sizes} == {(1, 1), (2, 2), (4, 4)}
+    assert spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch") == before
+
+
+@pytest.mark.parametrize("order", ["sorted", "random"])
+def test_packed_rows_hold_all_rows_and_deal_them(spark, order):
+    import numpy as np
+    from pyspark.sql import functions as F
+
+    from rankspark import engine, exact
+    from rankspark.params import ExecutionSpec
+
+    rows = spark.range(5000).select(F.when(F.col("id") % 10 > 0, F.pmod(F.col("id") * 7919, F.lit(700)) - 300 + (F.col("id") == 4999).cast("long") * (1 << 40)).alias("v"))
+    packed = engine.pack(rows, "v", 4, order).cache()
+    real = sorted(r[0] for r in rows.where("v is not null").collect())
+    read = lambda r: np.frombuffer(r["block"], r["held"]).astype(r["kind"]).tolist()
+    assert engine.packed_count(packed) == 5000 and sorted(x for r in packed.collect() for x in read(r)) == real
+    for k in (1, 2, 4):
+        parts = engine.shaped(packed, "v", ExecutionSpec(k, 8, order, 4)).rdd.glom().map(lambda rs: [x for r in rs for x in np.frombuffer(r["block"], r["held"]).astype(r["kind"]).tolist()]).collect()
+        assert len(parts) == k and min(len(p) for p in parts) > 3000 / k and sorted(x for p in parts for x in p) == real
+        assert order == "random" or all(p == sorted(p) for p in parts)
+    probes = [-300.0, 0.5, 17.0, 1e13]
+    theirs = exact.ranks_of(rows, "v", spark.createDataFrame([(p,) for p in probes], "value double"))
+    assert sorted(map(tuple, engine.packed_ranks(packed, probes).collect())) == sorted(map(tuple, theirs.collect()))
