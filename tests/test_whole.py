@@ -137,5 +137,6 @@ def test_packed_rows_hold_all_rows_and_deal_them(spark, order):
         assert len(parts) == k and min(len(p) for p in parts) > 3000 / k and sorted(x for p in parts for x in p) == real
         assert order == "random" or all(p == sorted(p) for p in parts)
     probes = [-300.0, 0.5, 17.0, 1e13]
-    theirs = exact.ranks_of(rows, "v", spark.createDataFrame([(p,) for p in probes], "value double"))
-    assert sorted(map(tuple, engine.packed_ranks(packed, probes).collect())) == sorted(map(tuple, theirs.collect()))
+    asked = spark.createDataFrame([(p,) for p in probes], "value double")
+    theirs = exact.ranks_of(rows, "v", asked)
+    assert sorted(map(tuple, engine.packed_ranks(packed, asked).collect())) == sorted(map(tuple, theirs.collect()))
